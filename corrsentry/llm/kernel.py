@@ -53,6 +53,7 @@ class Words(NamedTuple):
     first: np.ndarray  # rows + 1 offsets into the words
     start: np.ndarray  # byte where each word starts
     end: np.ndarray  # byte after each word
+    head: np.ndarray | None = None  # uint64 hash of each word's first bytes, if asked for
 
 
 def text_slices(column: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
@@ -72,7 +73,7 @@ def text_slices(column: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[in
         lo = hi
 
 
-def _piece(data: np.ndarray, breaks: np.ndarray, table: np.ndarray, sep: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _piece(data: np.ndarray, breaks: np.ndarray, table: np.ndarray, sep: np.ndarray, prefix: int) -> tuple:
     n = len(data)
     gap = sep[data]
     before, after = np.empty(n, bool), np.empty(n, bool)
@@ -88,13 +89,17 @@ def _piece(data: np.ndarray, breaks: np.ndarray, table: np.ndarray, sep: np.ndar
         pow_, inv = powers(BASE, n), powers(INVERSE, n)
     total = np.zeros(n + 1, U)
     np.cumsum(table[data] * inv[:n], out=total[1:])
-    return mix((total[end] - total[start]) * pow_[start]), start, end
+    ids = mix((total[end] - total[start]) * pow_[start])
+    head = mix((total[np.minimum(end, start + prefix)] - total[start]) * pow_[start] + U(1)) if prefix else None
+    return ids, start, end, head
 
 
-def words(data: np.ndarray, offsets: np.ndarray, lower: bool = False, punct: bool = False) -> Words:
-    """Words of all rows.  lower: A-Z count as a-z.  punct: ASCII punctuation separates words, too."""
-    table, sep = (_LOWER if lower else _BYTE), (SPACE | PUNCT if punct else SPACE)
-    ids, start, end, at, n = [], [], [], 0, len(data)
+def words(data: np.ndarray, offsets: np.ndarray, lower: bool = False, punct: bool = False, sep: np.ndarray | None = None, prefix: int = 0) -> Words:
+    """Words of all rows.  lower: A-Z count as a-z.  punct: ASCII punctuation separates words, too.  sep: other separators
+    (256 booleans).  prefix: also the hash of each word's first bytes, so many at most."""
+    table = _LOWER if lower else _BYTE
+    sep = (SPACE | PUNCT if punct else SPACE) if sep is None else sep
+    ids, start, end, heads, at, n = [], [], [], [], 0, len(data)
     while at < n:
         to = min(n, at + SLICE_BYTES)
         while to < n:  # cut between words only
@@ -103,15 +108,15 @@ def words(data: np.ndarray, offsets: np.ndarray, lower: bool = False, punct: boo
                 to += int(ahead.argmax())
                 break
             to = min(n, to + 4096)
-        i, s, e = _piece(data[at:to], offsets - at, table, sep)
-        ids.append(i), start.append(s + at), end.append(e + at)
+        i, s, e, h = _piece(data[at:to], offsets - at, table, sep, prefix)
+        ids.append(i), start.append(s + at), end.append(e + at), heads.append(h)
         at = to
     if not ids:
         none = np.zeros(0, np.int64)
-        return Words(np.zeros(0, U), none, np.zeros(len(offsets), np.int64), none, none)
+        return Words(np.zeros(0, U), none, np.zeros(len(offsets), np.int64), none, none, np.zeros(0, U) if prefix else None)
     i, s, e = np.concatenate(ids), np.concatenate(start), np.concatenate(end)
     first = np.searchsorted(s, offsets)
-    return Words(i, np.repeat(np.arange(len(offsets) - 1), np.diff(first)), first, s, e)
+    return Words(i, np.repeat(np.arange(len(offsets) - 1), np.diff(first)), first, s, e, np.concatenate(heads) if prefix else None)
 
 
 def grams(ids: np.ndarray, k: int) -> np.ndarray:

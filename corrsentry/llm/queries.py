@@ -4,13 +4,15 @@ from __future__ import annotations
 
 from .media import op6_media_columns
 from .mixing import op8_pfair_mix
+from .quality import op4_quality_trees
 from .shards import op1_kd_shards
+from .toxicity import op2_toxic_segments
 from .urlrep import SQL as URL_SQL
 from .urlrep import op9_url_reputation
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_kd_shards, op6_media_columns, op8_pfair_mix, op9_url_reputation)}
+    return {f.__name__: f for f in (op1_kd_shards, op2_toxic_segments, op4_quality_trees, op6_media_columns, op8_pfair_mix, op9_url_reputation)}
 
 
 def oracle_sql() -> dict[str, str]:

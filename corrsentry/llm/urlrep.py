@@ -75,19 +75,17 @@ def strength(units: DataFrame) -> Column:
 
 def reputation(hosts: DataFrame, z: float = 1.645) -> DataFrame:
     """host (key), n, good -> posterior mean and bound.  hosts: one row for each host; the levels are aggregated from
-    it, so no step sees single pages.  The prior strengths are three numbers, joined as one-row tables."""
+    it, so no step sees single pages.  The prior strengths and the overall rate are four numbers, which the driver reads."""
     domain, suffix = registered(F.col("host"))
     h = hosts.select("host", domain.alias("domain"), suffix.alias("suffix"), "n", "good")
     d = h.groupBy("domain", "suffix").agg(F.sum("n").alias("n"), F.sum("good").alias("good"))
     s = d.groupBy("suffix").agg(F.sum("n").alias("n"), F.sum("good").alias("good"))
-    moments = [x.where("n > 0").agg(strength(x)).withColumn("one", F.lit(1)).withColumnRenamed("m", f"m{i}") for i, x in enumerate((h, d, s))]
-    whole = s.agg(((F.coalesce(F.sum("good"), F.lit(0)) + 1.0) / (F.coalesce(F.sum("n"), F.lit(0)) + 2.0)).alias("p_all")).withColumn("one", F.lit(1))
-    for m in moments:
-        whole = whole.join(m, "one")
-    s = s.withColumn("one", F.lit(1)).join(F.broadcast(whole), "one").withColumn("p_s", (F.col("good") + F.col("m2") * F.col("p_all")) / (F.col("n") + F.col("m2")))
-    d = d.alias("d").join(s.select("suffix", "p_s", "m0", "m1"), "suffix").withColumn("p_d", (F.col("good") + F.col("m1") * F.col("p_s")) / (F.col("n") + F.col("m1")))
-    out = h.join(d.select("domain", "p_d", "m0"), "domain")
-    a, b = F.col("good") + F.col("m0") * F.col("p_d"), F.col("n") - F.col("good") + F.col("m0") * (1 - F.col("p_d"))
+    m0, m1, m2 = (x.where("n > 0").agg(strength(x)).first()["m"] for x in (h, d, s))
+    p_all = s.agg(((F.coalesce(F.sum("good"), F.lit(0)) + 1.0) / (F.coalesce(F.sum("n"), F.lit(0)) + 2.0)).alias("p")).first()["p"]
+    s = s.select("suffix", ((F.col("good") + m2 * p_all) / (F.col("n") + m2)).alias("p_s"))
+    d = d.join(s, "suffix").select("domain", ((F.col("good") + m1 * F.col("p_s")) / (F.col("n") + m1)).alias("p_d"))
+    out = h.join(d, "domain")
+    a, b = F.col("good") + m0 * F.col("p_d"), F.col("n") - F.col("good") + m0 * (1 - F.col("p_d"))
     mean, sd = a / (a + b), F.sqrt(a * b / ((a + b) * (a + b) * (a + b + 1)))
     return out.select("host", "n", "good", mean.alias("good_rate"), (mean - z * sd).alias("bound"))
 
