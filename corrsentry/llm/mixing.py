@@ -90,7 +90,7 @@ def mixed(rows: DataFrame, weights: dict | None = None, block: int = 16, tempera
     weights: source -> target weight; None: each source's count to the power `temperature`.  block: documents in a block.
     release and deadline are slots within the phase.  pos is gapless from 0 over all rows in schedule order."""
     spark = rows.sparkSession
-    rows = rows.withColumn("_src", F.coalesce(F.col("source"), F.lit("\x00")))
+    rows = rows.drop("block", "slot", "phase", "release", "deadline", "pos").withColumn("_src", F.coalesce(F.col("source"), F.lit("\x00")))
     counts = {r["_src"]: r["n"] for r in rows.groupBy("_src").agg(F.count(F.lit(1)).alias("n")).limit(MAX_SOURCES + 1).collect()}
     if len(counts) > MAX_SOURCES:
         raise ValueError(f"more than {MAX_SOURCES} sources: group them before mixing")

@@ -17,6 +17,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import kernel as K
 from .common import held_out, labelled_sample, only_ids, table
@@ -155,7 +156,8 @@ def fit(docs: DataFrame, labels: DataFrame, limit: int = LIMIT) -> Trees:
 
 
 def score(docs: DataFrame, model: Trees) -> DataFrame:
-    """All columns of docs and `score` double."""
+    """All columns of docs and `score` double (which replaces a column of that name)."""
+    docs = docs.drop("score")
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -164,7 +166,7 @@ def score(docs: DataFrame, model: Trees) -> DataFrame:
                 s = pa.array(model.probability(statistics(data, offsets)))
                 yield pa.RecordBatch.from_arrays([*b.slice(lo, hi - lo).columns, s], names=[*b.schema.names, "score"])
 
-    return docs.mapInArrow(run, docs.drop("score").schema.add("score", "double"))
+    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField("score", T.DoubleType())]))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:

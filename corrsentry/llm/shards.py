@@ -131,6 +131,7 @@ def kd_shards(rows: DataFrame, dims: list[str], n_shards: int | None = None, tar
     """rows (written table with doc_id, gkey long, size long and the columns in dims) -> rows with shard int, slot long.
 
     Shards: n_shards, or as many as target_bytes asks for.  A group's point has the least value of each dimension among its rows."""
+    rows = rows.drop("shard", "slot", "piece", "pieces")
     whole = rows.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("size"), F.lit(0)).alias("b")).first()
     n = n_shards or max(1, -(-whole["b"] // target_bytes))
     target = max(1.0, whole["b"] / n)
