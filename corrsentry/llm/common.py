@@ -60,7 +60,7 @@ def clear_scratch() -> None:
 atexit.register(clear_scratch)
 
 
-def ranked(df: DataFrame, keys: list[str], order: list[str], out: str, rows: int | None = None, per_task: int = 50_000) -> DataFrame:
+def ranked(df: DataFrame, keys: list[str], order: list[str], out: str, rows: int | None = None, per_task: int = 8_192) -> DataFrame:
     """df with a gapless rank from 0 (long) within `keys`, by the buckets of a hash of `order`, then by `order`.
 
     A key may hold any share of the rows: it is dealt to many buckets, each ranked alone and shifted by the sizes of
