@@ -9,8 +9,10 @@ Texts with the same shingle set are one node.  In each key's bucket every node i
 node; each node's most promising such edge is verified on the full sets, and verified edges are joined into components.
 Then all pairs of bucket members that are in different components are compared, the smaller components' members
 against the rest, so a bucket whose members are linked already costs nothing and no group is expanded into all pairs.
-Before sets are fetched, pairs are dropped by the exact size bound and by 64 one-bit minhashes (more than 22 of 64
-differ: less than one in ten million for pairs of similarity 0.8).
+Before sets are compared, pairs are dropped by the exact size bound and by 64 one-bit minhashes (more than 22 of 64
+differ: less than one in ten million for pairs of similarity 0.8).  In the second comparison, shingles that only one of
+the nodes has are counted first: they are in no intersection, which bounds every pair's similarity from above, exactly,
+and settles nearly all members of a family of near copies that are too far from the others.
 
 Edge cases: texts without words (null, empty) have no shingles and are linked with nothing; with fewer words than a
 shingle the whole sequence is the only one; repeated rows and equal texts are linked; a repeated doc_id is one vertex
@@ -125,6 +127,20 @@ def _verified(pairs: DataFrame, texts: DataFrame, size: int, percent: int) -> Da
     return pairs.select("x", "y").join(left, "x").join(right, "y").select("x", "y", "tx", "ty").mapInArrow(run, "x long, y long")
 
 
+def _private(texts: DataFrame, size: int) -> DataFrame:
+    """(node, private): how many of a node's shingles no other of the nodes has."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for lo, hi, data, offsets in K.text_slices(b.column(1)):
+                row, h = shingles(data, offsets, size)
+                keys, first, c = np.unique(h, return_index=True, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(K.signed(keys)), b.column(0).slice(lo, hi - lo).take(pa.array(row[first])), pa.array(c.astype(np.int64))], names=["h", "node", "c"])
+
+    owned = texts.select("node", "text").mapInArrow(run, "h long, node long, c long").groupBy("h").agg(F.sum("c").alias("c"), F.min("node").alias("node"))
+    return owned.where("c = 1").groupBy("node").agg(F.count(F.lit(1)).alias("private"))
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, comp) of every node of the edges (x, y): comp is the smallest node that can be reached.
 
@@ -173,8 +189,14 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, q: int =
     shares = placed.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("k"))
     largest = shares.groupBy("key").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.count(F.lit(1)).alias("parts")).where("parts > 1").drop("parts")
     open_ = written(placed.join(largest, "key").join(nodes, "node"), "open")
-    few = open_.where("comp <> main").select("key", F.col("node").alias("x"), F.col("comp").alias("cx"), F.col("n").alias("nx"), F.col("sketch").alias("sx"))
-    rest = open_.select("key", F.col("node").alias("y"), F.col("comp").alias("cy"), (F.col("comp") == F.col("main")).alias("is_main"), F.col("n").alias("ny"), F.col("sketch").alias("sy"))
+    private = _private(texts.join(open_.select("node").distinct(), "node", "left_semi"), size)
+    common = F.col("n") - F.coalesce("private", F.lit(0))
+    open_ = open_.join(private, "node", "left").withColumn("common", common).where(F.col("common") * 100 >= F.col("n") * percent)
+    open_ = written(open_.drop("private"), "open")
+    most = F.least("mx", "my")
+    alike = alike & (most * 100 >= (F.col("nx") + F.col("ny") - most) * percent)
+    few = open_.where("comp <> main").select("key", F.col("node").alias("x"), F.col("comp").alias("cx"), F.col("n").alias("nx"), F.col("common").alias("mx"), F.col("sketch").alias("sx"))
+    rest = open_.select("key", F.col("node").alias("y"), F.col("comp").alias("cy"), (F.col("comp") == F.col("main")).alias("is_main"), F.col("n").alias("ny"), F.col("common").alias("my"), F.col("sketch").alias("sy"))
     cross = few.join(rest, (few["key"] == rest["key"]) & (F.col("cx") != F.col("cy")) & (F.col("is_main") | (F.col("x") < F.col("y"))) & alike).select("x", "y").distinct()
     more = written(_verified(cross.join(first, ["x", "y"], "left_anti"), texts, size, percent), "links")
     comps = components(links.unionByName(more)) if not more.isEmpty() else comps
