@@ -6,13 +6,12 @@ instead of 2 q t * t.  Two texts of similarity s share a key with probability (1
 t = 11 that is 0.9992 at 0.8 and 0.99994 at 0.85.
 
 Texts with the same shingle set are one node.  In each key's bucket every node is compared with the bucket's first
-node; each node's most promising such edge is verified on the full sets, and verified edges are joined into components.
-Then all pairs of bucket members that are in different components are compared, the smaller components' members
-against the rest, so a bucket whose members are linked already costs nothing and no group is expanded into all pairs.
-Before sets are compared, pairs are dropped by the exact size bound and by 64 one-bit minhashes (more than 22 of 64
-differ: less than one in ten million for pairs of similarity 0.8).  In the second comparison, shingles that only one of
-the nodes has are counted first: they are in no intersection, which bounds every pair's similarity from above, exactly,
-and settles nearly all members of a family of near copies that are too far from the others.
+node by size (an exact bound) and by 64 one-bit minhashes (more than 22 of 64 differ: less than one in ten million for
+pairs of similarity 0.8).  Nodes joined by such comparisons are a *family*.  Each node's most promising comparison is
+verified on the full sets; verified links make components.  What a family has outside its largest component is then
+compared with all of it on the full sets, in blocks, so a family that is linked costs nothing more and no group is
+expanded into all pairs.  Last, members of a bucket that are in different families are compared by sketch and size, and
+verified.  So every pair that shares a key is settled.
 
 Edge cases: texts without words (null, empty) have no shingles and are linked with nothing; with fewer words than a
 shingle the whole sequence is the only one; repeated rows and equal texts are linked; a repeated doc_id is one vertex
@@ -127,18 +126,65 @@ def _verified(pairs: DataFrame, texts: DataFrame, size: int, percent: int) -> Da
     return pairs.select("x", "y").join(left, "x").join(right, "y").select("x", "y", "tx", "ty").mapInArrow(run, "x long, y long")
 
 
-def _private(texts: DataFrame, size: int) -> DataFrame:
-    """(node, private): how many of a node's shingles no other of the nodes has."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for lo, hi, data, offsets in K.text_slices(b.column(1)):
-                row, h = shingles(data, offsets, size)
-                keys, first, c = np.unique(h, return_index=True, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(K.signed(keys)), b.column(0).slice(lo, hi - lo).take(pa.array(row[first])), pa.array(c.astype(np.int64))], names=["h", "node", "c"])
-
-    owned = texts.select("node", "text").mapInArrow(run, "h long, node long, c long").groupBy("h").agg(F.sum("c").alias("c"), F.min("node").alias("node"))
-    return owned.where("c = 1").groupBy("node").agg(F.count(F.lit(1)).alias("private"))
+def linked_blocks(a: tuple[np.ndarray, np.ndarray, int], b: tuple[np.ndarray, np.ndarray, int], percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Index pairs (i, j) of sets of a and of b that are similar enough; (row, hash, rows) of distinct shingles each.
+
+    All intersections at once: a product of 0/1 matrices over the shingles that both sides have, some columns at a time;
+    float32 holds the counts exactly."""
+    (ra, ha, na), (rb, hb, nb) = a, b
+    both = np.intersect1d(ha, hb)
+    inter = np.zeros((na, nb), np.float32)
+    parts = []
+    for row, h in ((ra, ha), (rb, hb)):
+        at = np.minimum(np.searchsorted(both, h), max(len(both) - 1, 0))
+        ok = both[at] == h if len(both) else np.zeros(len(h), bool)
+        parts.append((row[ok], at[ok]))
+    for lo in range(0, len(both), 4096):
+        m = []
+        for (row, at), n in zip(parts, (na, nb)):
+            here = (at >= lo) & (at < lo + 4096)
+            x = np.zeros((n, min(4096, len(both) - lo)), np.float32)
+            x[row[here], at[here] - lo] = 1
+            m.append(x)
+        inter += m[0] @ m[1].T
+    size = np.bincount(ra, minlength=na)[:, None] + np.bincount(rb, minlength=nb)[None, :]
+    return np.nonzero((100 * inter.astype(np.int64) >= percent * (size - inter.astype(np.int64))) & (inter > 0))
+
+
+def _family_links(nodes: DataFrame, texts: DataFrame, size: int, percent: int, rows: int = 2000, shingles_: int = 1_000_000) -> DataFrame:
+    """Links (x, y) between members of one family that are in different components.  nodes: node, fam, comp, n.
+
+    The members outside the family's largest component are compared with all, in blocks of at most `rows` rows and about
+    `shingles_` shingles: a task holds two blocks.  Only links come back, at most two for each row and component."""
+    shares = nodes.groupBy("fam", "comp").agg(F.count(F.lit(1)).alias("k"), F.sum("n").alias("n"))
+    fams = shares.groupBy("fam").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.count(F.lit(1)).alias("parts"), F.sum("k").alias("k"), F.sum("n").alias("n")).where("parts > 1")
+    blocks = F.greatest(F.ceil(F.col("k") / rows), F.ceil(F.col("n") / shingles_)).cast("int")
+    own = nodes.select("node", "fam", "comp").join(fams.select("fam", "main", blocks.alias("blocks")), "fam").withColumn("b", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    own = own.join(texts, "node")
+    few = own.where("comp <> main").withColumn("c", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("fam", F.col("b").alias("i"), F.col("c").alias("j"), "node", "comp", "text")
+    all_ = own.join(own.where("comp <> main").select("fam", F.col("b").alias("i")).distinct(), "fam").select("fam", "i", F.col("b").alias("j"), "node", "comp", "text")
+
+    def run(a: pa.Table, b: pa.Table) -> pa.Table:
+        sides = []
+        for t in (a, b):
+            row, h, at = [], [], 0
+            for lo, hi, data, offsets in K.text_slices(t.column("text")):
+                r, x = shingles(data, offsets, size)
+                row.append(r + lo), h.append(x)
+                at = hi
+            sides.append((np.concatenate(row or [np.zeros(0, np.int64)]), np.concatenate(h or [np.zeros(0, np.uint64)]), at))
+        i, j = linked_blocks(*sides, percent)
+        x, y = a.column("node").to_numpy()[i], b.column("node").to_numpy()[j]
+        cx, cy = a.column("comp").to_numpy()[i], b.column("comp").to_numpy()[j]
+        new = cx != cy
+        x, y, cx, cy = x[new], y[new], cx[new], cy[new]
+        # one link between two components is as good as many
+        first = np.unique(np.stack([np.minimum(cx, cy), np.maximum(cx, cy)], 1), axis=0, return_index=True)[1] if len(x) else np.zeros(0, np.int64)
+        return pa.table({"x": pa.array(x[first], pa.int64()), "y": pa.array(y[first], pa.int64())})
+
+    keys = ("fam", "i", "j")
+    all_ = all_.toDF(*all_.columns)  # columns of its own: both sides come from one table
+    return few.groupBy(*keys).cogroup(all_.groupBy(*keys)).applyInArrow(run, "x long, y long")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -177,29 +223,25 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, q: int =
     gap = F.bit_count(F.col("sx").bitwiseXOR(F.col("sy")))
     alike = (F.least("nx", "ny") * 100 >= F.greatest("nx", "ny") * percent) & (gap <= SKETCH_LIMIT)
     stars = members.where("node <> head").select(F.col("node").alias("x"), F.col("head").alias("y")).distinct()
-    stars = stars.join(ends("x"), "x").join(ends("y"), "y").where(alike).select("x", "y", gap.alias("gap"))
-    first = written(stars.groupBy("x").agg(F.min_by("y", F.struct("gap", "y")).alias("y")), "first")
-    reps = sig.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.min("n").alias("n"))
+    stars = written(stars.join(ends("x"), "x").join(ends("y"), "y").where(alike).select("x", "y", gap.alias("gap")), "stars")
+    first = stars.groupBy("x").agg(F.min_by("y", F.struct("gap", "y")).alias("y"))
+    reps = sig.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
     reps = reps.join(members.select("node").distinct(), "node", "left_semi").where(F.col("doc_id").isNotNull())
-    texts = written(docs.select("doc_id", "text").join(reps.select("doc_id", "node"), "doc_id").dropDuplicates(["node"]).select("node", "text"), "texts")
+    texts = written(docs.select("doc_id", "text").join(reps, "doc_id").dropDuplicates(["node"]).select("node", "text"), "texts")
     links = written(_verified(first, texts, size, percent), "links")
-    comps = components(links)
-    # members of one bucket in different components: those outside the bucket's largest component against the rest
-    placed = members.select("key", "node").join(comps, "node", "left").select("key", "node", F.coalesce("comp", "node").alias("comp"))
-    shares = placed.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("k"))
-    largest = shares.groupBy("key").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.count(F.lit(1)).alias("parts")).where("parts > 1").drop("parts")
-    open_ = written(placed.join(largest, "key").join(nodes, "node"), "open")
-    private = _private(texts.join(open_.select("node").distinct(), "node", "left_semi"), size)
-    common = F.col("n") - F.coalesce("private", F.lit(0))
-    open_ = open_.join(private, "node", "left").withColumn("common", common).where(F.col("common") * 100 >= F.col("n") * percent)
-    open_ = written(open_.drop("private"), "open")
-    most = F.least("mx", "my")
-    alike = alike & (most * 100 >= (F.col("nx") + F.col("ny") - most) * percent)
-    few = open_.where("comp <> main").select("key", F.col("node").alias("x"), F.col("comp").alias("cx"), F.col("n").alias("nx"), F.col("common").alias("mx"), F.col("sketch").alias("sx"))
-    rest = open_.select("key", F.col("node").alias("y"), F.col("comp").alias("cy"), (F.col("comp") == F.col("main")).alias("is_main"), F.col("n").alias("ny"), F.col("common").alias("my"), F.col("sketch").alias("sy"))
-    cross = few.join(rest, (few["key"] == rest["key"]) & (F.col("cx") != F.col("cy")) & (F.col("is_main") | (F.col("x") < F.col("y"))) & alike).select("x", "y").distinct()
-    more = written(_verified(cross.join(first, ["x", "y"], "left_anti"), texts, size, percent), "links")
-    comps = components(links.unionByName(more)) if not more.isEmpty() else comps
+    # within families: members outside the largest component against all, in blocks
+    comps, fams = components(links), components(stars).withColumnRenamed("comp", "fam")
+    placed = fams.join(comps, "node", "left").join(nodes.select("node", "n"), "node").select("node", "fam", F.coalesce("comp", "node").alias("comp"), "n")
+    placed = written(placed, "families")
+    inner = written(_family_links(placed, texts, size, percent), "links")
+    # across families: bucket members whose sketches are near, though no common head told so
+    at = members.select("key", "node").join(placed.select("node", "fam"), "node", "left").select("key", "node", F.coalesce("fam", "node").alias("fam"))
+    mixed = at.groupBy("key").agg(F.min("fam").alias("lo"), F.max("fam").alias("hi")).where("lo <> hi").select("key")
+    at = written(at.join(mixed, "key").join(nodes, "node"), "mixed")
+    side = lambda e: at.select("key", F.col("node").alias(e), F.col("fam").alias(f"f{e}"), F.col("n").alias(f"n{e}"), F.col("sketch").alias(f"s{e}"))
+    cross = side("x").join(side("y"), "key").where((F.col("fx") < F.col("fy")) & alike).select("x", "y").distinct()
+    outer = written(_verified(cross, texts, size, percent), "links")
+    comps = components(links.unionByName(inner).unionByName(outer))
     own = sig.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
     named = own.join(comps, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = named.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
