@@ -15,8 +15,8 @@ PAIRS = "win_id long, i long, j long, rho double"
 
 
 def rho(m: Column, c: Column, si: Column, qi: Column, sj: Column, qj: Column) -> Column:
-    """Pearson from integer sums; the only rounding is in the root and the division."""
-    return (m * c - si * sj).cast("double") / F.sqrt(((m * qi - si * si) * (m * qj - sj * sj)).cast("double"))
+    """Pearson from integer sums; rounding is in the two roots, their product and the division only."""
+    return (m * c - si * sj).cast("double") / (F.sqrt((m * qi - si * si).cast("double")) * F.sqrt((m * qj - sj * sj).cast("double")))
 
 
 def pairs_sparse(cells: DataFrame, complete: bool = False) -> DataFrame:
@@ -98,6 +98,7 @@ def tiles(cols: DataFrame, tile: int = 2048) -> DataFrame:
         return pd.DataFrame({"win_id": [a["win_id"].iloc[0]], "bi": [a["bi"].iloc[0]], "bj": [a["bj"].iloc[0]], "rows": [a["entity"].to_numpy()], "cols": [b["entity"].to_numpy()], "p": [p.ravel()]})
 
     keys = ["win_id", "bi", "bj"]
+    right = right.toDF(*right.columns)  # columns of its own: both sides come from one table
     return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInPandas(run, "win_id long, bi int, bj int, rows array<long>, cols array<long>, p array<double>")
 
 

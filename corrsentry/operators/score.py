@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -44,8 +44,8 @@ def row_sum_bounds(pairs: DataFrame) -> DataFrame:
 def power_step(edges: DataFrame, v: DataFrame) -> DataFrame:
     """One product and its normalisation by the largest entry: (win_id, i, v), and lambda as that entry."""
     y = edges.join(v.select("win_id", F.col("i").alias("j"), "v"), ["win_id", "j"]).groupBy("win_id", "i").agg(F.sum(F.col("rho") * F.col("v")).alias("y"))
-    top = y.groupBy("win_id").agg(F.max("y").alias("top"))
-    return y.join(top, "win_id").select("win_id", "i", (F.col("y") / F.col("top")).alias("v"), F.col("top").alias("lambda1"))
+    top = F.max("y").over(Window.partitionBy("win_id"))
+    return y.select("win_id", "i", (F.col("y") / top).alias("v"), top.alias("lambda1"))
 
 
 def power(pairs: DataFrame, iterations: int = 40, every: int = 10) -> DataFrame:

@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import kernels as K
@@ -90,8 +90,8 @@ def tiled_power(tiled: DataFrame, mode: str = "abs", iterations: int = 30) -> Da
 
     for _ in range(iterations):
         pieces = place.join(v, ["win_id", "entity"])
-        need = pieces.join(tops, "win_id").where((F.col("b") == F.col("bi")) | (F.col("b") == F.col("bj"))).select(*keys, "entity", "v")
+        need = pieces.join(tops, "win_id").where((F.col("b") == F.col("bi")) | (F.col("b") == F.col("bj"))).select(*keys, "entity", "v").toDF(*keys, "entity", "v")
         y = tiled.groupBy(*keys).cogroup(need.groupBy(*keys)).applyInPandas(run, kinds).groupBy("win_id", "entity").agg(F.sum("y").alias("y"))
-        top = y.groupBy("win_id").agg(F.max("y").alias("lambda1"))
-        v = cut_lineage(y.join(top, "win_id").select("win_id", "entity", (F.col("y") / F.col("lambda1")).alias("v"), "lambda1"))
+        top = F.max("y").over(Window.partitionBy("win_id"))
+        v = cut_lineage(y.select("win_id", "entity", (F.col("y") / top).alias("v"), top.alias("lambda1")))
     return v.groupBy("win_id").agg(F.count(F.lit(1)).alias("n"), F.max("lambda1").alias("lambda1")).withColumn("score", F.col("lambda1") / F.col("n"))

@@ -8,23 +8,24 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .functions import kernels as K
 from .functions import special
 from .operators.detect import DetectConfig, best_scores, detect, members
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def beta_logpdf(x: pd.Series, a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series(special.beta_logpdf(x.to_numpy(float), a.to_numpy(float), b.to_numpy(float)))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def digamma(x: pd.Series) -> pd.Series:
     return pd.Series(special.digamma(x.to_numpy(float)))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def principal_score(x: pd.Series) -> float:
     """Score of a group of equally long arrays; constant ones are left out."""
     a = np.stack([np.asarray(v, float) for v in x]) if len(x) else np.zeros((0, 1))
@@ -32,7 +33,7 @@ def principal_score(x: pd.Series) -> float:
     return K.principal(K.correlations(a), 512)[0] / len(a) if len(a) else 0.0
 
 
-@F.udtf(returnType="win_id: long")
+@F.udtf(returnType=T.StructType([T.StructField("win_id", T.LongType())]))
 class WindowAssign:
     """Starts of the windows that cover an instant, all in seconds."""
 
