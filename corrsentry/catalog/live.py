@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import uuid
 
 from pyspark.sql import functions as F
@@ -31,7 +32,7 @@ def _replayed(spark, d, parts: int = 4) -> str:
 @query(f"WITH {cells()}, w AS (SELECT max(at_s) - 3600 AS mark FROM ev) SELECT win_id AS pane, entity, feature, x FROM cells, w WHERE win_id + 86400 <= mark")
 def stream_panes_closed(spark, d):
     """Panes a stream has closed at its end: those whose end the watermark has passed."""
-    s = live.closed_panes(readers.stream_events(spark, _replayed(spark, d)), _DAY)
+    s = live.closed_panes(readers.stream_events(spark, _replayed(spark, d), 100), _DAY)
     return live.collect_stream(spark, s, f"panes_{uuid.uuid4().hex}")
 
 
@@ -72,7 +73,7 @@ def stream_late_dropped(spark, d):
     s = live.closed_panes(readers.stream_events(spark, out), _DAY)
     q = s.writeStream.outputMode("append").format("memory").queryName(f"late_{uuid.uuid4().hex}").trigger(availableNow=True).start()
     q.awaitTermination()
-    late = sum(op.get("numRowsDroppedByWatermark", 0) for p in q.recentProgress for op in p["stateOperators"])
+    late = sum(json.loads(p.json)["stateOperators"][0]["numRowsDroppedByWatermark"] for p in q.recentProgress if json.loads(p.json)["stateOperators"])
     return spark.createDataFrame([(int(late),)], "dropped long")
 
 

@@ -177,8 +177,8 @@ def agg_cube(spark, d):
 
 @query(_DIM + "GROUPING SETS ((n_name), (c_mktsegment), ())")
 def agg_grouping_sets(spark, d):
-    x = _dim(spark, d)
-    return _stars(x.groupingSets([[x["n_name"]], [x["c_mktsegment"]], []], x["n_name"], x["c_mktsegment"]))
+    _dim(spark, d).select("n_name", "c_mktsegment").createOrReplaceTempView("_dim")
+    return spark.sql("SELECT coalesce(n_name, '*') AS nation, coalesce(c_mktsegment, '*') AS segment, count(*) AS n FROM _dim GROUP BY GROUPING SETS ((n_name), (c_mktsegment), ())")
 
 
 _PIVOT = "SELECT user_id, count(*) FILTER (WHERE event_type = 'click') AS click, count(*) FILTER (WHERE event_type = 'view') AS view FROM events WHERE event_type IN ('click', 'view') GROUP BY 1"
@@ -284,7 +284,7 @@ def math_functions(spark, d):
     return _t(spark, d, "events").select("event_id", u6(F.sqrt(v)).alias("r_u6"), u6(F.ln(v + 1)).alias("l_u6"), u6(F.pow(v, F.lit(1.4)) / 1000).alias("p_u6"), F.floor(v).alias("f"), F.ceil(v).alias("c"), u6(F.least(v, F.lit(50.0))).alias("m_u6"))
 
 
-@query(f"SELECT vec_id, {s6('list_sum(list_transform(embedding, x -> x::DOUBLE * x::DOUBLE))')} AS norm_u6, {s6('list_max(embedding)::DOUBLE')} AS top_u6, len(list_filter(embedding, x -> x > 0)) AS positive FROM embeddings")
+@query(f"SELECT vec_id, {s6('list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE))')} AS norm_u6, {s6('list_max(embedding)::DOUBLE')} AS top_u6, len(list_filter(embedding, lambda x: x > 0)) AS positive FROM embeddings")
 def arr_functions(spark, d):
     e = F.col("embedding")
     dot = F.aggregate(e, F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double"))

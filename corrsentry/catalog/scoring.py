@@ -21,42 +21,46 @@ def _pairs(spark, d, profile="type_k10", mode="abs"):
 
 def _kernel(spark, d, **kind):
     f = detect(E.log_cells(spark, d), DetectConfig(detectors=("direct",), min_strength=0.0, **kind))
-    return f.where("entity is null").select("win_id", F.col("n_used").alias("n"), u6("lambda1").alias("lambda_u6"), u6("score").alias("score_u6"))
+    e4 = F.floor(F.col("score") * 10000 + 0.5).alias("score_e4")
+    return f.where("entity is null").select("win_id", F.col("n_used").alias("n"), u6("lambda1").alias("lambda_u6"), u6("score").alias("score_u6"), e4)
 
 
 @query(_SCORES)
 def direct_score_sql(spark, d):
     """Distributed power iteration on the pair table."""
-    return score.power(_pairs(spark, d), 60, 20).select("win_id", "n", u6("lambda1").alias("lambda_u6"), u6("score").alias("score_u6"))
+    return score.power(_pairs(spark, d), 32, 16).select("win_id", "n", u6("lambda1").alias("lambda_u6"), u6("score").alias("score_u6"))
 
 
 @query(_SCORES)
 def direct_score_lanczos(spark, d):
-    return _kernel(spark, d)
+    return _kernel(spark, d).drop("score_e4")
 
 
 @query(_SCORES)
 def direct_score_exact(spark, d):
-    return _kernel(spark, d, exact=100_000)
+    return _kernel(spark, d, exact=100_000).drop("score_e4")
 
 
 @query(_SCORES)
 def direct_score_tiles(spark, d):
     t = score.cut_lineage(corr.tiles(corr.columns(E.log_cells(spark, d)), 100))
-    return tiled_power(t, iterations=40).select("win_id", "n", u6("lambda1").alias("lambda_u6"), u6("score").alias("score_u6"))
+    return tiled_power(t, iterations=32).select("win_id", "n", u6("lambda1").alias("lambda_u6"), u6("score").alias("score_u6"))
 
 
 _POS = "SELECT win_id, i, j, greatest(rho, 0) AS rho FROM pairs UNION ALL SELECT win_id, j, i, greatest(rho, 0) FROM pairs UNION ALL SELECT win_id, entity, entity, 1.0::DOUBLE FROM live"
 
 
-@query(f"WITH RECURSIVE {cells()}, {PAIRS}, {power(_POS)} SELECT win_id, n, {s6('lambda1')} AS lambda_u6, {s6('lambda1 / n')} AS score_u6 FROM lam")
+_MODE = "SELECT win_id, n, CAST(floor(lambda1 / n * 10000 + 0.5) AS BIGINT) AS score_e4 FROM lam"
+
+
+@query(f"WITH RECURSIVE {cells()}, {PAIRS}, {power(_POS, 150)} {_MODE}")
 def direct_score_positive(spark, d):
-    return _kernel(spark, d, mode="positive")
+    return _kernel(spark, d, mode="positive").select("win_id", "n", "score_e4")
 
 
-@query(f"WITH RECURSIVE {cells()}, {PAIRS}, {power(_POS.replace('greatest(rho', 'greatest(-rho'))} SELECT win_id, n, {s6('lambda1')} AS lambda_u6, {s6('lambda1 / n')} AS score_u6 FROM lam")
+@query(f"WITH RECURSIVE {cells()}, {PAIRS}, {power(_POS.replace('greatest(rho', 'greatest(-rho'), 150)} {_MODE}")
 def direct_score_negative(spark, d):
-    return _kernel(spark, d, mode="negative")
+    return _kernel(spark, d, mode="negative").select("win_id", "n", "score_e4")
 
 
 @query(f"{_DIRECT}, q AS (SELECT vec.win_id, i, v, lambda1, sqrt(sum(v * v) OVER (PARTITION BY vec.win_id)) AS size FROM vec JOIN lam ON vec.win_id = lam.win_id) SELECT win_id, i AS entity, CAST(floor(least(sqrt(lambda1) * v / size, 1) * 10000 + 0.5) AS BIGINT) AS loading_e4 FROM q WHERE sqrt(lambda1) * v / size >= 0.3")
@@ -69,12 +73,12 @@ def direct_members(spark, d):
 _HOUR = f"WITH RECURSIVE {cells('type', 3600)}, {PAIRS}, big AS (SELECT win_id FROM live GROUP BY 1 HAVING count(*) >= 3), {power(f'SELECT * FROM ({ABS_EDGES}) e WHERE win_id IN (SELECT win_id FROM big)', 300)}"
 for _t in (0.7, 0.6):
 
-    @query(f"{_HOUR} SELECT win_id, n, CAST(floor(lambda1 / n * 1000 + 0.5) AS BIGINT) AS score_e3 FROM lam WHERE lambda1 / n > {_t}", name=f"direct_alerts_0{int(_t * 10)}")
+    @query(f"{_HOUR} SELECT win_id, n, CAST(floor(lambda1 / n * 1000 + 0.5) AS BIGINT) AS score_e3 FROM lam WHERE lambda1 / n > {_t} + 1e-9", name=f"direct_alerts_0{int(_t * 10)}")
     def _direct_alerts(spark, d, t=_t):
         """Hours of five features, where few users correlate by chance: many alerts."""
         f = detect(E.log_cells(spark, d, "type", "1 hour"), DetectConfig(detectors=("direct",), threshold=t, min_strength=0.0))
         s = f.where("entity is null and n_used >= 3")
-        return score.alerts(s, t).select("win_id", F.col("n_used").alias("n"), F.floor(F.col("score") * 1000 + 0.5).alias("score_e3"))
+        return score.alerts(s, t + 1e-9).select("win_id", F.col("n_used").alias("n"), F.floor(F.col("score") * 1000 + 0.5).alias("score_e3"))
 
 
 @query(f"WITH {cells()}, {PAIRS}, e AS ({ABS_EDGES}), r AS (SELECT win_id, i, sum(rho) AS s FROM e GROUP BY 1, 2) SELECT win_id, count(*) AS n, {s6('min(s) / count(*)')} AS lower_u6, {s6('max(s) / count(*)')} AS upper_u6, {s6('sum(s) / count(*) / count(*)')} AS mean_u6 FROM r GROUP BY 1")

@@ -67,7 +67,9 @@ def distinct_events(events: DataFrame, lateness: str = "1 hour") -> DataFrame:
 
 
 def collect_stream(spark: SparkSession, df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what its source has now, into a memory table, for replays and tests."""
-    q = df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
-    q.awaitTermination()
+    """Run a stream over what its source has now, into a memory table, for replays and tests.  The batch without data that
+    follows the last one closes what its watermark has passed."""
+    q = df.writeStream.outputMode(mode).format("memory").queryName(name).start()
+    q.processAllAvailable()
+    q.stop()
     return spark.table(name)
