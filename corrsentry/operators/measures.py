@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -51,5 +51,6 @@ def balance(recall: str = "recall", accuracy: str = "accuracy"):  # noqa: ANN201
 def speed_ratio(best: DataFrame, against: str = "direct") -> DataFrame:
     """detector, seconds_avg, ratio of the reference detector's time to its own."""
     t = best.groupBy("detector").agg(F.avg("seconds").alias("seconds_avg"))
-    ref = t.where(F.col("detector") == against).first()
-    return t.withColumn("ratio", F.lit(ref["seconds_avg"] if ref else None).cast("double") / F.col("seconds_avg"))
+    every = Window.partitionBy(F.lit(1))  # a row for each detector
+    ref = F.max(F.when(F.col("detector") == against, F.col("seconds_avg"))).over(every)
+    return t.withColumn("ratio", ref / F.col("seconds_avg"))
