@@ -65,10 +65,12 @@ def stream_dedupe(spark, d):
 
 @query()
 def stream_late_dropped(spark, d):
-    """Rows that come after the watermark has passed their pane: dropped, and counted by the stream."""
+    """Rows that come after the watermark has passed their pane: dropped, and counted by the stream.  The watermark of one
+    batch judges lateness in the next but one, so there is a batch between."""
     out = _shared(spark)
     e = spark.read.parquet(f"{d}/events.parquet")
     e.orderBy(F.desc("ts")).limit(50).coalesce(1).write.parquet(out)
+    e.orderBy(F.desc("ts")).limit(5).coalesce(1).write.mode("append").parquet(out)
     e.orderBy("ts").limit(200).coalesce(1).write.mode("append").parquet(out)
     s = live.closed_panes(readers.stream_events(spark, out), _DAY)
     q = s.writeStream.outputMode("append").format("memory").queryName(f"late_{uuid.uuid4().hex}").trigger(availableNow=True).start()
