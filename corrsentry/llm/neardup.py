@@ -262,3 +262,21 @@ def drop_near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80) -> D
 
 def op7_minhash_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"), size=2, percent=80)
+
+
+#: The same rows by brute force on whole shingle sets; doc_id is taken as unique.
+SQL = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+s AS (SELECT DISTINCT doc_id, unnest(CASE WHEN len(ws) = 1 THEN ws ELSE [ws[i] || ' ' || ws[i + 1] FOR i IN range(1, len(ws))] END) AS shingle FROM w),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+sets AS (SELECT doc_id, n, md5(string_agg(shingle, ' | ' ORDER BY shingle)) AS node FROM s JOIN n USING (doc_id) GROUP BY 1, 2),
+nodes AS (SELECT node, min(doc_id) AS v, any_value(n) AS n FROM sets GROUP BY 1),
+e AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS k FROM s a JOIN s b USING (shingle) JOIN nodes p ON p.v = a.doc_id JOIN nodes q ON q.v = b.doc_id
+ WHERE a.doc_id < b.doc_id AND 100 * least(p.n, q.n) >= 80 * greatest(p.n, q.n) GROUP BY 1, 2),
+links AS (SELECT x, y FROM e JOIN nodes p ON p.v = x JOIN nodes q ON q.v = y WHERE 100 * k >= 80 * (p.n + q.n - k)),
+both_ways AS (SELECT x, y FROM links UNION ALL SELECT y, x FROM links),
+reach AS (SELECT v AS a, v AS b FROM nodes UNION SELECT reach.a, both_ways.y FROM reach JOIN both_ways ON both_ways.x = reach.b),
+comp AS (SELECT a AS v, min(b) AS component_id FROM reach GROUP BY 1)
+SELECT w.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(component_id, w.doc_id) AS component_id, coalesce(component_id, w.doc_id) = w.doc_id AS kept
+FROM w LEFT JOIN n USING (doc_id) LEFT JOIN sets USING (doc_id) LEFT JOIN nodes USING (node) LEFT JOIN comp USING (v)
+"""

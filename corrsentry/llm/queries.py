@@ -5,11 +5,13 @@ from __future__ import annotations
 from .decontam import op5_simhash_decontamination
 from .media import op6_media_columns
 from .mixing import op8_pfair_mix
+from .neardup import SQL as NEARDUP_SQL
 from .neardup import op7_minhash_neardup
 from .quality import op4_quality_trees
 from .revisit import SQL as REVISIT_SQL
 from .revisit import op10_warc_revisits
 from .shards import op1_kd_shards
+from .substring import SQL as SUBSTRING_SQL
 from .substring import op3_debruijn_substrings
 from .toxicity import op2_toxic_segments
 from .urlrep import SQL as URL_SQL
@@ -23,4 +25,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op9_url_reputation": URL_SQL, "op10_warc_revisits": REVISIT_SQL}
+    return {"op3_debruijn_substrings": SUBSTRING_SQL, "op7_minhash_neardup": NEARDUP_SQL, "op9_url_reputation": URL_SQL, "op10_warc_revisits": REVISIT_SQL}
