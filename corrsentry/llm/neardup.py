@@ -14,8 +14,10 @@ expanded into all pairs.  Last, members of a bucket that are in different famili
 verified.  So every pair that shares a key is settled.
 
 Edge cases: texts without words (null, empty) have no shingles and are linked with nothing; with fewer words than a
-shingle the whole sequence is the only one; repeated rows and equal texts are linked; a repeated doc_id is one vertex
-as far as ids go; an empty table gives an empty result; other columns are ignored.
+shingle the whole sequence is the only one; repeated rows and equal texts are linked; each row is a vertex of its own
+text, so a repeated doc_id with another text is judged by that text; a null doc_id is linked like any other, and where
+all of a group's ids are null its component_id is null and its rows are kept; an empty table gives an empty result;
+other columns are ignored.
 """
 
 from __future__ import annotations
@@ -24,7 +26,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import kernel as K
@@ -61,13 +63,18 @@ def shingles(data: np.ndarray, offsets: np.ndarray, size: int) -> tuple[np.ndarr
     return K.distinct(*K.row_grams(K.words(data, offsets, lower=True), size))
 
 
+def _first(row: Column) -> Column:
+    """Least (doc_id, tag) of a group; a null id comes last."""
+    return F.min_by(row, F.struct(row["doc_id"].isNull(), row["doc_id"], row["tag"]))
+
+
 def signatures(docs: DataFrame, size: int, q: int = Q, t: int = T) -> DataFrame:
-    """doc_id, n shingles, node (hash of the set), sketch, keys; a task gives the keys of a node once."""
+    """doc_id, tag (hash of the text), n shingles, node (hash of the set), sketch, keys; a task gives the keys of a node once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
         for b in batches:
-            for lo, hi, data, offsets in K.text_slices(b.column(1)):
+            for lo, hi, data, offsets in K.text_slices(b.column(2)):
                 row, h = shingles(data, offsets, size)
                 at = K.by_row(row, hi - lo)
                 total = np.zeros(len(h) + 1, np.uint64)
@@ -90,9 +97,9 @@ def signatures(docs: DataFrame, size: int, q: int = Q, t: int = T) -> DataFrame:
                 sketch: list = [None] * (hi - lo)
                 for i, k, s in zip(new, K.signed(tensor_keys(m, q, t)), K.signed(np.packbits((m[:, :64] >> np.uint64(17) & np.uint64(1)).astype(np.uint8), axis=1).view(np.uint64).ravel() if len(new) else np.zeros(0, np.uint64))):
                     keys[i], sketch[i] = k, int(s)
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.array(n.astype(np.int64)), pa.array(node), pa.array(sketch, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "n", "node", "sketch", "keys"])
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), b.column(1).slice(lo, hi - lo), pa.array(n.astype(np.int64)), pa.array(node), pa.array(sketch, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "tag", "n", "node", "sketch", "keys"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, node long, sketch long, keys array<long>")
+    return docs.select("doc_id", F.xxhash64("text").alias("tag"), "text").mapInArrow(run, "doc_id long, tag long, n long, node long, sketch long, keys array<long>")
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, size: int, percent: int) -> DataFrame:
@@ -211,8 +218,8 @@ def components(edges: DataFrame) -> DataFrame:
     return known
 
 
-def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, q: int = Q, t: int = T) -> DataFrame:
-    """doc_id, n_shingles, component_id (smallest linked doc_id), kept."""
+def _placed(docs: DataFrame, size: int, percent: int, q: int, t: int) -> DataFrame:
+    """doc_id, tag, n and first: doc_id and tag of the row that stands for the row's component; null without shingles."""
     sig = written(signatures(docs, size, q, t), "signatures")
     nodes = sig.where("keys is not null").groupBy("node").agg(F.first("n").alias("n"), F.first("sketch").alias("sketch"))
     nodes = written(nodes, "nodes")
@@ -225,9 +232,11 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, q: int =
     stars = members.where("node <> head").select(F.col("node").alias("x"), F.col("head").alias("y")).distinct()
     stars = written(stars.join(ends("x"), "x").join(ends("y"), "y").where(alike).select("x", "y", gap.alias("gap")), "stars")
     first = stars.groupBy("x").agg(F.min_by("y", F.struct("gap", "y")).alias("y"))
-    reps = sig.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
-    reps = reps.join(members.select("node").distinct(), "node", "left_semi").where(F.col("doc_id").isNotNull())
-    texts = written(docs.select("doc_id", "text").join(reps, "doc_id").dropDuplicates(["node"]).select("node", "text"), "texts")
+    # a node's text is that of one of its rows, known by id and text: an id may be repeated with other texts, or null
+    reps = sig.where("n > 0").groupBy("node").agg(_first(F.struct("doc_id", "tag")).alias("rep"))
+    reps = reps.join(members.select("node").distinct(), "node", "left_semi").select("node", F.col("rep.doc_id").alias("_doc"), F.col("rep.tag").alias("_tag"))
+    own = docs.select("doc_id", "text")
+    texts = written(own.join(reps, (F.xxhash64(own["text"]) == F.col("_tag")) & own["doc_id"].eqNullSafe(F.col("_doc"))).dropDuplicates(["node"]).select("node", "text"), "texts")
     links = written(_verified(first, texts, size, percent), "links")
     # within families: members outside the largest component against all, in blocks
     comps, fams = components(links), components(stars).withColumnRenamed("comp", "fam")
@@ -242,22 +251,28 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, q: int =
     cross = side("x").join(side("y"), "key").where((F.col("fx") < F.col("fy")) & alike).select("x", "y").distinct()
     outer = written(_verified(cross, texts, size, percent), "links")
     comps = components(links.unionByName(inner).unionByName(outer))
-    own = sig.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
-    named = own.join(comps, "node", "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
-    least = named.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
-    label = named.join(least, "comp").select("node", "component_id")
-    out = sig.select("doc_id", "n", "node").join(label, "node", "left")
-    component = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id"))
+    own = sig.where("n > 0").groupBy("node").agg(_first(F.struct("doc_id", "tag")).alias("first"))
+    named = own.join(comps, "node", "left").select("node", "first", F.coalesce("comp", "node").alias("comp"))
+    least = named.groupBy("comp").agg(_first(F.col("first")).alias("first"))
+    label = named.select("node", "comp").join(least, "comp").select("node", "first")
     release(docs.sparkSession)
-    return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
+    return sig.select("doc_id", "tag", "n", "node").join(label, "node", "left").drop("node")
+
+
+def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, q: int = Q, t: int = T) -> DataFrame:
+    """doc_id, n_shingles, component_id (smallest linked doc_id), kept."""
+    component = F.when(F.col("n") > 0, F.col("first.doc_id")).otherwise(F.col("doc_id"))
+    return _placed(docs, size, percent, q, t).select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), component.eqNullSafe(F.col("doc_id")).alias("kept"))
 
 
 def drop_near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
-    """One row of docs of each group of linked documents: the one with the smallest doc_id, once if that is repeated."""
-    seen = written(near_duplicates(docs, size, percent).where("kept").select(F.col("doc_id").alias("_kept")).distinct(), "kept")
-    w = Window.partitionBy("doc_id").orderBy(F.xxhash64(*[c for c in docs.columns]))
-    kept = docs.join(seen, docs["doc_id"].eqNullSafe(seen["_kept"])).drop("_kept")
-    return kept.withColumn("_r", F.row_number().over(w)).where("_r = 1").drop("_r")
+    """One row of docs of each group of linked documents: the one with the smallest doc_id (a null id only if there is no
+    other).  Rows with the same id and text are one document, rows with the same or no id and other texts are not."""
+    seen = _placed(docs, size, percent, Q, T).where("n = 0 or (doc_id <=> first.doc_id and tag = first.tag)")
+    seen = written(seen.select(F.col("doc_id").alias("_kept"), F.col("tag").alias("_tag")).distinct(), "kept")
+    w = Window.partitionBy("doc_id", "_tag").orderBy(F.xxhash64(*[c for c in docs.columns]))
+    kept = docs.join(seen, (F.xxhash64(docs["text"]) == seen["_tag"]) & docs["doc_id"].eqNullSafe(seen["_kept"])).drop("_kept")
+    return kept.withColumn("_r", F.row_number().over(w)).where("_r = 1").drop("_r", "_tag")
 
 
 def op7_minhash_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:

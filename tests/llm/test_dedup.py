@@ -118,6 +118,19 @@ def test_dropping_keeps_the_smallest_of_each_group(spark, docs, none):
     assert neardup.near_duplicates(none).count() == 0 and neardup.drop_near_duplicates(none).count() == 0
 
 
+def test_repeated_and_missing_ids(spark):
+    """Rows are judged by their own text: ids may be null, or repeated with other texts."""
+    rng = random.Random(3)
+    a, b, c = prose(rng, 80), prose(rng, 80), prose(rng, 80)
+    near = lambda t: t.rsplit(" ", 1)[0] + " changed"
+    data = [(7, a), (7, b), (3, near(b)), (None, near(a)), (None, c), (None, c), (None, None), (4, "")]
+    df = spark.createDataFrame(data, "doc_id long, text string").repartition(3)
+    got = {(r.doc_id, r.component_id, r.kept) for r in neardup.near_duplicates(df, 2).collect()}
+    assert got == {(7, 7, True), (7, 3, False), (3, 3, True), (None, 7, False), (None, None, True), (4, 4, True)}
+    kept = sorted(((r.doc_id, r.text) for r in neardup.drop_near_duplicates(df).collect()), key=str)
+    assert kept == sorted([(7, a), (3, near(b)), (None, c), (None, None), (4, "")], key=str)
+
+
 def test_fixture_has_the_hard_cases():
     data = rows()
     assert any(r[1] is None for r in data) and any(r[1] == "" for r in data) and DOC.count(",") == 4
