@@ -18,7 +18,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import ranked, table, written
@@ -170,10 +170,16 @@ def kd_shards(rows: DataFrame, dims: list[str], n_shards: int | None = None, tar
     return ranked(written(out, "placed"), ["shard"], ["doc_id", "gkey"], "slot", whole["n"])
 
 
+def text_key() -> Column:
+    """Hash that equal texts share."""
+    text = F.coalesce(F.col("text"), F.lit("")).cast("binary")
+    return F.xxhash64("text", F.crc32(text), F.length(text))
+
+
 def sized(docs: DataFrame) -> DataFrame:
     """The slim columns that sharding needs; texts are read once, here."""
     text = F.coalesce(F.col("text"), F.lit("")).cast("binary")
-    return docs.select("doc_id", (F.length(text) + 16).cast("long").alias("size"), F.crc32(text).alias("text_crc32"), F.xxhash64("text", F.crc32(text), F.length(text)).alias("gkey"), F.length("text").alias("chars"), "lang", "source")
+    return docs.select("doc_id", (F.length(text) + 16).cast("long").alias("size"), F.crc32(text).alias("text_crc32"), text_key().alias("gkey"), F.length("text").alias("chars"), "lang", "source")
 
 
 def op1_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
