@@ -38,8 +38,10 @@ def in_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents with their shard and slot, dealt out in that order."""
     rows = common.written(shards.sized(docs), "sized")
     docs = docs.drop("shard", "slot")
-    placed = shards.kd_shards(rows, ["chars", "lang", "source", "doc_id"], n_shards=N_SHARDS).select("doc_id", "shard", "slot")
-    out = docs.join(placed, docs["doc_id"].eqNullSafe(placed["doc_id"])).drop(placed["doc_id"])
+    placed = shards.kd_shards(rows, ["chars", "lang", "source", "doc_id"], n_shards=N_SHARDS).select(F.col("doc_id").alias("_doc"), F.col("gkey").alias("_gkey"), "shard", "slot")
+    # ids may be missing or repeated with other texts; repeated rows get one place
+    placed = placed.dropDuplicates(["_doc", "_gkey"])
+    out = docs.join(placed, docs["doc_id"].eqNullSafe(F.col("_doc")) & (shards.text_key() == F.col("_gkey"))).drop("_doc", "_gkey")
     return out.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot")
 
 
