@@ -245,10 +245,13 @@ def _placed(docs: DataFrame, size: int, percent: int, q: int, t: int) -> DataFra
     inner = written(_family_links(placed, texts, size, percent), "links")
     # across families: bucket members whose sketches are near, though no common head told so
     at = members.select("key", "node").join(placed.select("node", "fam"), "node", "left").select("key", "node", F.coalesce("fam", "node").alias("fam"))
-    mixed = at.groupBy("key").agg(F.min("fam").alias("lo"), F.max("fam").alias("hi")).where("lo <> hi").select("key")
+    # one side leaves out the bucket's largest family: a great family with a few strangers is not joined with itself
+    shares = at.groupBy("key", "fam").agg(F.count(F.lit(1)).alias("k"))
+    mixed = shares.groupBy("key").agg(F.max_by("fam", F.struct("k", "fam")).alias("main"), F.count(F.lit(1)).alias("fams")).where("fams > 1").select("key", "main")
     at = written(at.join(mixed, "key").join(nodes, "node"), "mixed")
-    side = lambda e: at.select("key", F.col("node").alias(e), F.col("fam").alias(f"f{e}"), F.col("n").alias(f"n{e}"), F.col("sketch").alias(f"s{e}"))
-    cross = side("x").join(side("y"), "key").where((F.col("fx") < F.col("fy")) & alike).select("x", "y").distinct()
+    side = lambda e: at.select("key", "main", F.col("node").alias(e), F.col("fam").alias(f"f{e}"), F.col("n").alias(f"n{e}"), F.col("sketch").alias(f"s{e}"))
+    cross = side("x").where("fx <> main").join(side("y").drop("main"), "key").where(((F.col("fy") == F.col("main")) | (F.col("fx") < F.col("fy"))) & alike)
+    cross = cross.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).distinct()
     outer = written(_verified(cross, texts, size, percent), "links")
     comps = components(links.unionByName(inner).unionByName(outer))
     own = sig.where("n > 0").groupBy("node").agg(_first(F.struct("doc_id", "tag")).alias("first"))
