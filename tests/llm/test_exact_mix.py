@@ -1,6 +1,7 @@
 from collections import Counter
 from fractions import Fraction
 
+import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
@@ -65,3 +66,14 @@ def test_sources_without_a_weight_come_last(spark):
     out = mixing.placed(rows, {"a": 3.0, "b": 1.0, "c": 0.0, "zz": 1.0}, block=1).toPandas()
     assert out[out["pos"] < 100]["source"].value_counts().to_dict() == {"a": 75, "b": 25}
     assert set(out[out["pos"] >= 200]["source"]) == {"c", "d"} and (out["phase"] == (out["pos"] >= 200)).all()
+
+
+@pytest.mark.parametrize("each", [1, 3])
+def test_any_number_of_sources_is_mixed(spark, each):
+    n = 4 * mixing.MAX_SOURCES
+    rows = common.written(spark.range(n * each).selectExpr("id doc_id", f"concat('host', id % {n}) source"), "t")
+    out = mixing.placed(rows, block=1).toPandas()
+    assert sorted(out["pos"]) == list(range(n * each))
+    assert (out["slot"] >= out["release"]).all() and (out["slot"] < out["deadline"]).all()
+    for part in range(each):  # equal weights: each host once before any host again
+        assert out[(out["pos"] >= part * n) & (out["pos"] < (part + 1) * n)]["source"].nunique() == n
