@@ -30,17 +30,17 @@ def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def in_mixed_order(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents, in the order of the mix of their sources."""
+    """All documents, in the order of the mix of their sources; the next stage gets the same order from the same columns."""
     return mixing.mix_documents(docs)
 
 
 def in_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents with their shard and slot, dealt out in that order."""
-    rows = common.written(shards.sized(docs), "sized")
+    """All documents with their shard and slot.  Shards are cells of the metadata; the slots of a shard follow the mix of all sources."""
+    rows = common.written(mixing.placed(common.written(shards.sized(docs), "sized")).drop("block", "phase", "release", "deadline", "slot"), "mixed")
     docs = docs.drop("shard", "slot")
-    placed = shards.kd_shards(rows, ["chars", "lang", "source", "doc_id"], n_shards=N_SHARDS).select(F.col("doc_id").alias("_doc"), F.col("gkey").alias("_gkey"), "shard", "slot")
-    # ids may be missing or repeated with other texts; repeated rows get one place
-    placed = placed.dropDuplicates(["_doc", "_gkey"])
+    placed = shards.kd_shards(rows, ["chars", "lang", "source", "doc_id"], n_shards=N_SHARDS, by="pos").select(F.col("doc_id").alias("_doc"), F.col("gkey").alias("_gkey"), "shard", "slot")
+    # ids may be missing or repeated with other texts; repeated rows get one place, the first
+    placed = placed.groupBy("_doc", "_gkey").agg(F.min("shard").alias("shard"), F.min("slot").alias("slot"))
     out = docs.join(placed, docs["doc_id"].eqNullSafe(F.col("_doc")) & (shards.text_key() == F.col("_gkey"))).drop("_doc", "_gkey")
     return out.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot")
 

@@ -60,14 +60,16 @@ def clear_scratch() -> None:
 atexit.register(clear_scratch)
 
 
-def ranked(df: DataFrame, keys: list[str], order: list[str], out: str, rows: int | None = None, per_task: int = 8_192) -> DataFrame:
+def ranked(df: DataFrame, keys: list[str], order: list[str], out: str, rows: int | None = None, per_task: int = 8_192, place: Column | None = None) -> DataFrame:
     """df with a gapless rank from 0 (long) within `keys`, by the buckets of a hash of `order`, then by `order`.
 
+    place: numbers from 0 to rows - 1 that grow with `order` over the whole of df; buckets are ranges of it, and the rank is by `order` alone.
+
     A key may hold any share of the rows: it is dealt to many buckets, each ranked alone and shifted by the sizes of
     the buckets before it, of which there is one small row each.  df is read twice, so it should be a written table."""
     rows = df.count() if rows is None else rows
     buckets = max(1, min(1 << 20, rows // per_task))
-    bucket = F.pmod(F.xxhash64(*order), F.lit(buckets)).cast("int")
+    bucket = (F.pmod(F.xxhash64(*order), F.lit(buckets)) if place is None else F.floor(place * F.lit(buckets) / F.lit(max(rows, 1)))).cast("int")
     df = df.withColumn("_b", bucket)
     own = Window.partitionBy(*keys, "_b").orderBy(*order)
     if buckets == 1:

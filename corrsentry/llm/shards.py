@@ -127,9 +127,10 @@ def tree(pts: DataFrame, dims: int, room: list[float]) -> tuple[dict[int, tuple[
     return splits, leaves
 
 
-def kd_shards(rows: DataFrame, dims: list[str], n_shards: int | None = None, target_bytes: int | None = None, heavy: float = 1 / 32) -> DataFrame:
+def kd_shards(rows: DataFrame, dims: list[str], n_shards: int | None = None, target_bytes: int | None = None, heavy: float = 1 / 32, by: str | None = None) -> DataFrame:
     """rows (written table with doc_id, gkey long, size long and the columns in dims) -> rows with shard int, slot long.
 
+    by: a column with the numbers from 0 on, each once, by which the slots of a shard are numbered; None: by a hash of the ids.
     Shards: n_shards, or as many as target_bytes asks for.  A group's point has the least value of each dimension among its rows."""
     rows = rows.drop("shard", "slot", "piece", "pieces")
     whole = rows.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("size"), F.lit(0)).alias("b")).first()
@@ -167,7 +168,8 @@ def kd_shards(rows: DataFrame, dims: list[str], n_shards: int | None = None, tar
     placed = pts.mapInPandas(assign, "gkey long, shard int")
     known = F.broadcast(spark.createDataFrame(where, "gkey long, piece int, shard int"))
     out = rows.join(placed, "gkey").unionByName(heavy_rows.join(known, ["gkey", "piece"]).drop("piece"))
-    return ranked(written(out, "placed"), ["shard"], ["doc_id", "gkey"], "slot", whole["n"])
+    order = ["doc_id", "gkey"] if by is None else [by]
+    return ranked(written(out, "placed"), ["shard"], order, "slot", whole["n"], place=None if by is None else F.col(by))
 
 
 def text_key() -> Column:
