@@ -10,8 +10,9 @@ with the shingle)), 0.8 or more.
 Only windows that share a shingle with an item can be similar at all, so fingerprints are made just for windows that
 are aligned with a shared shingle: nothing is lost, and no window is made in clean text.
 
-Items are held in blocks of at most `block_words` words, one pass over the documents for each block, so what is
-broadcast is bounded at any benchmark size.
+Items are held in blocks of at most `block_words` words, one pass over the documents for each block.  Weights are those
+of the whole benchmark in every block: Spark counts the items and the shingles' items once, and each block is handed the
+shingles that stand in two items or more (one item weighs as much as none), 16 bytes each beside its own items.
 
 Edge cases: null and empty texts hold nothing; items without words match nothing; items repeated in the benchmark are
 each reported; an item may be the whole document; empty tables give an empty result.
@@ -82,7 +83,9 @@ def weighted_similarity(a: np.ndarray, b: np.ndarray, weight) -> float:  # noqa:
 
 
 class Items:
-    """Searchable items: shingles with their places, weights and fingerprints.  Built from (item_id, text) rows."""
+    """Searchable items: shingles with their places, weights and fingerprints.  Built from (item_id, text) rows.
+
+    n_items, seen (sorted shingles, items with each): of the whole benchmark; shingles in one item may be left out.  None: these rows are all."""
 
     def __init__(self, rows: list[tuple[int, str]], radius: int = RADIUS, n_items: int | None = None, seen: tuple[np.ndarray, np.ndarray] | None = None) -> None:
         self.ids, self.size, self.shingles, places = [], [], [], []
@@ -96,7 +99,7 @@ class Items:
                 self.ids.append(item), self.size.append(len(w.ids)), self.shingles.append(h)
         self.n = n_items or max(len(self.ids), 1)
         distinct = [np.unique(s) for s in self.shingles]
-        self.keys, count = seen if seen else np.unique(np.concatenate(distinct), return_counts=True) if distinct else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+        self.keys, count = seen if seen is not None else np.unique(np.concatenate(distinct), return_counts=True) if distinct else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
         self.key_weight = np.log1p(self.n / np.maximum(count, 1))
         all_ = np.concatenate(places) if places else np.zeros((0, 3), np.uint64)
         all_ = all_[np.argsort(all_[:, 0], kind="stable")]
@@ -139,36 +142,58 @@ class Items:
 
 def _marked(items: Items, w: K.Words) -> np.ndarray:
     """Rows with any word sequence that is a shingle of an item."""
-    if not len(items.keys):
+    own = items.place_key
+    if not len(own):
         return np.zeros(0, np.int64)
     row, h = K.row_grams(w, SHINGLE)
-    at = np.minimum(np.searchsorted(items.keys, h), len(items.keys) - 1)
-    rows = [np.unique(row[items.keys[at] == h])]
+    at = np.minimum(np.searchsorted(own, h), len(own) - 1)
+    rows = [np.unique(row[own[at] == h])]
     for k in items.short:
         n = max(len(w.ids) - k + 1, 0)
         p = np.arange(n)
         h = K.spans(w.ids, p, p + k, salt=SHINGLE)
-        at = np.minimum(np.searchsorted(items.keys, h), len(items.keys) - 1)
-        hit = (items.keys[at] == h) & (p + k <= w.first[1:][w.row[:n]])
+        at = np.minimum(np.searchsorted(own, h), len(own) - 1)
+        hit = (own[at] == h) & (p + k <= w.first[1:][w.row[:n]])
         rows.append(np.unique(w.row[:n][hit]))
     return np.unique(np.concatenate(rows))
 
 
+def shingle_counts(rows: DataFrame) -> tuple[int, tuple[np.ndarray, np.ndarray]]:
+    """(items with words, (shingles, items with each)) of all rows (text), the shingles in two items or more, sorted."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for lo, hi, data, offsets in K.text_slices(b.column(0)):
+                w = K.words(data, offsets, lower=True, punct=True)
+                _, h = K.distinct(*K.row_grams(w, SHINGLE))
+                items = int((np.diff(w.first) > 0).sum())
+                yield pa.RecordBatch.from_arrays([pa.array([*K.signed(h).tolist(), None], pa.int64()), pa.array([1] * len(h) + [items], pa.int64())], names=["h", "n"])
+
+    counts = rows.select("text").mapInArrow(run, "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).where("h is null or n > 1").toArrow()
+    h, n = counts["h"].combine_chunks(), counts["n"].to_numpy().astype(np.int64)
+    total = n[h.is_null().to_numpy(zero_copy_only=False)].sum()
+    real = h.is_valid().to_numpy(zero_copy_only=False)
+    keys, n = h.drop_null().to_numpy().astype(np.int64).view(np.uint64), n[real]
+    by_key = np.argsort(keys)
+    return int(total), (keys[by_key], n[by_key])
+
+
 def item_blocks(benchmark: DataFrame, block_words: int = 2_000_000) -> Iterator[Items]:
-    """Items in blocks of bounded size, each with weights from the whole benchmark while that is one block, else its own block's."""
+    """Items in blocks of bounded size, each with weights from the whole benchmark."""
     rows = benchmark.where(F.col("text").isNotNull()).select("item_id", "text")
     size = rows.agg(F.sum(F.length("text"))).first()[0] or 0
     n = max(1, -(-size // (4 * block_words)))
+    items, seen = shingle_counts(rows)
     for b in range(n):
         part = rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == b).orderBy("item_id", "text").collect()
-        yield Items([(r["item_id"], r["text"]) for r in part])
+        yield Items([(r["item_id"], r["text"]) for r in part], n_items=items, seen=seen)
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, least: float = SIMILARITY) -> DataFrame:
+def contaminated(docs: DataFrame, benchmark: DataFrame, least: float = SIMILARITY, block_words: int = 2_000_000) -> DataFrame:
     """doc_id, item_id, similarity, start_word, n_words: each item that a document holds, at its best place."""
     at = docs.select("doc_id", "text")
     out = None
-    for items in item_blocks(benchmark):
+    for items in item_blocks(benchmark, block_words):
 
         def run(batches: Iterator[pa.RecordBatch], items: Items = items) -> Iterator[pa.RecordBatch]:
             for b in batches:
@@ -186,10 +211,10 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: float = SIMILARIT
     return out
 
 
-def decontaminated(docs: DataFrame, benchmark: DataFrame, least: float = SIMILARITY) -> DataFrame:
+def decontaminated(docs: DataFrame, benchmark: DataFrame, least: float = SIMILARITY, block_words: int = 2_000_000) -> DataFrame:
     """The rows of docs that hold no item, as they are; texts are not shuffled."""
     at = docs.columns.index("text")
-    for items in item_blocks(benchmark):
+    for items in item_blocks(benchmark, block_words):
 
         def run(batches: Iterator[pa.RecordBatch], items: Items = items) -> Iterator[pa.RecordBatch]:
             for b in batches:
