@@ -60,7 +60,7 @@ def paths_of(w: K.Words, window: int, k: int) -> tuple[np.ndarray, ...]:
 
 
 def paths(docs: DataFrame, window: int, k: int) -> DataFrame:
-    """h, g, key (doc_id), place (start * 65536 + windows) of every path of all texts."""
+    """h, g, key, place (start * 65536 + windows) of every path of all texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -93,7 +93,8 @@ def strip_repeats(docs: DataFrame, window: int = WINDOW, k: int = KMER, digest:
     """doc_id, n_words, n_removed, kept: each document without the words of repeated windows, in the order they had.
 
     digest: kept is the SHA-256 of the kept words, so no second copy of the texts is written."""
-    docs = docs.select("doc_id", F.coalesce("doc_id", F.lit(-(2**63))).alias("key"), "text")
+    # rows with one key have one text, so that ranges found in one fit all of them
+    docs = docs.select("doc_id", F.xxhash64(F.coalesce("doc_id", F.lit(-(2**63))), F.xxhash64("text"), F.crc32(F.col("text").cast("binary"))).alias("key"), "text")
     found = paths(docs, window, k)
     many = found.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.min("g").alias("g0"), F.max("g").alias("g1")).where("c > 1").select("h", (F.col("g0") == F.col("g1")).alias("same"))
     again = written(paths(docs, window, k).join(many, "h"), "paths")
