@@ -134,9 +134,7 @@ def block_mean_floors(spark, d):
 
 @query()
 def block_fit_pairs(spark, d):
-    """The whole model on a pair table, for windows too large for a task: one week of windows."""
+    """The whole model on a pair table, for windows too large for a task: all windows, as many rounds as the model takes."""
     c = E.log_cells(spark, d)
-    first = c.agg(F.min("win_id")).first()[0] or 0
-    c = c.where(F.col("win_id") < first + 7 * 86_400)
-    z, _ = block.fit_pairs(corr.apply_mode(corr.pairs_sparse(c, complete=True), "abs"), _z(c), K.BlockConfig(max_iter=4))
+    z, _ = block.fit_pairs(corr.apply_mode(corr.pairs_sparse(c, complete=True), "abs"), _z(c))
     return z

@@ -57,9 +57,7 @@ for _g in E.GRIDS:
 
 @query()
 def scaling_eval(spark, d):
-    c = E.log_cells(spark, d)
-    first = c.agg(F.min("win_id")).first()[0] or 0
-    return E.scaling(c.where(F.col("win_id") < first + 10 * 86_400))
+    return E.scaling(E.log_cells(spark, d))
 
 
 @query()
@@ -86,7 +84,7 @@ def workload_baskets(spark, d):
 def workload_conversations(spark, d):
     """Words of conversation turns by role: conversations as entities."""
     t = spark.read.parquet(f"{d}/conversations.parquet").where("conv_id is not null")
-    w = t.select("conv_id", F.explode(F.split(F.lower(F.coalesce("text", F.lit(""))), r"[^\p{L}]+")).alias("w")).where("length(w) between 2 and 3")
+    w = t.select("conv_id", F.explode(F.split(F.lower(F.coalesce("text", F.lit(""))), r"[^\p{L}]+")).alias("w")).where("w <> ''")
     c = w.groupBy(F.pmod("conv_id", F.lit(4)).alias("win_id"), F.col("conv_id").alias("entity"), F.col("w").alias("feature")).agg(F.count(F.lit(1)).alias("x"))
     return best_scores(detect(c, DetectConfig(detectors=("direct", "sampled"))))
 
