@@ -36,23 +36,33 @@ def written(df: DataFrame, label: str) -> DataFrame:
     df.write.parquet(path)
     _SCRATCH.append((spark, path))
     out = spark.read.schema(df.schema).parquet(path)
+    out._written_at = path
     release(spark)
     return out
 
 
+def forget(*tables: DataFrame) -> None:
+    """Remove tables of written() that nothing will read again."""
+    for t in tables:
+        _remove(t.sparkSession, t._written_at)
+        _SCRATCH[:] = [(s, p) for s, p in _SCRATCH if p != t._written_at]
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark's cleaner remove the shuffle files of finished jobs now; else they stay until the driver's heap fills."""
     spark.sparkContext._jvm.System.gc()
 
 
+def _remove(spark: SparkSession, path: str) -> None:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
 def clear_scratch() -> None:
     """Remove all tables that written() made in this process."""
     while _SCRATCH:
-        spark, path = _SCRATCH.pop()
         try:
-            jvm = spark.sparkContext._jvm
-            p = jvm.org.apache.hadoop.fs.Path(path)
-            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+            _remove(*_SCRATCH.pop())
         except Exception:  # noqa: BLE001  the session may have ended before
             return
 
@@ -84,6 +94,21 @@ def ranked(df: DataFrame, keys: list[str], order: list[str], out: str, rows: int
     return ranks.join(shift, on).withColumn(out, (F.col("_r") + F.col("_s")).cast("long")).drop("_b", "_r", "_s", "_c", *[f"_k{i}" for i in range(len(keys))])
 
 
+def even_join(rows: DataFrame, few: DataFrame, keys: list[str], how: str = "inner", share: int = 256, salts: int = 64) -> DataFrame:
+    """rows joined with few (a written table with one row a key and c, how many of rows have it), hot keys spread evenly.
+
+    Keys with more than 1/share of all the rows that few counts are dealt to `salts` tasks each; there are less than
+    `share` of them, so their list stays small at any size."""
+    total = few.agg(F.sum("c")).first()[0] or 0
+    hot = [r[0] for r in few.where(F.col("c") > max(total / share, 1000)).select(F.xxhash64(*keys)).collect()]
+    if not hot:
+        return rows.join(few, keys, how)
+    is_hot = F.xxhash64(*keys).isin(hot)
+    rows = rows.withColumn("_salt", F.when(is_hot, F.pmod(F.xxhash64(*rows.columns), F.lit(salts)).cast("int")).otherwise(0))
+    few = few.withColumn("_salt", F.explode(F.when(is_hot, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))))
+    return rows.join(few, [*keys, "_salt"], how).drop("_salt")
+
+
 def held_out(doc_id: Column) -> Column:
     """True for the fifth of the rows that no model may learn from."""
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(5)) == 0, F.lit(False))

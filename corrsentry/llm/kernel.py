@@ -6,6 +6,7 @@ words have equal ids in every batch, task and run.  All arithmetic on ids wraps
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from typing import NamedTuple
 
@@ -119,6 +120,36 @@ def words(data: np.ndarray, offsets: np.ndarray, lower: bool = False, punct: boo
     return Words(i, np.repeat(np.arange(len(offsets) - 1), np.diff(first)), first, s, e, np.concatenate(heads) if prefix else None)
 
 
+def normal(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(bytes of all words with a space after each, where each word begins there and the end, first: rows + 1 offsets
+    into the words).  The words are those of words() with its defaults."""
+    n = len(data)
+    if not n:
+        return np.zeros(0, np.uint8), np.zeros(1, np.int64), np.zeros(len(offsets), np.int64)
+    word = ~SPACE[data]
+    edge = np.ones(n + 1, bool)
+    edge[1:n] = ~word[:-1]
+    edge[offsets] = True
+    start = np.flatnonzero(word & edge[:-1])
+    edge[:n] = ~word
+    edge[offsets] = True
+    size = np.flatnonzero(word & edge[1:]) + 2 - start
+    at = np.concatenate([np.zeros(1, np.int64), np.cumsum(size)])
+    own = np.ones(at[-1], bool)
+    own[at[1:] - 1] = False
+    out = np.full(at[-1], 0x20, np.uint8)
+    out[own] = data[word]
+    return out, at, np.searchsorted(start, offsets)
+
+
+def give_back() -> None:
+    """Return freed memory to the system: Python workers stay alive between stages, beside the next stage's needs."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
 def grams(ids: np.ndarray, k: int) -> np.ndarray:
     """Hash of the k ids from each position on (positions to len(ids) - k)."""
     n = len(ids) - k + 1
