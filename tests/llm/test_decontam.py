@@ -67,9 +67,65 @@ def test_items_in_several_blocks_give_the_same_pairs(spark):
 
 def test_multi_index_finds_all_within_the_radius():
     rng = np.random.default_rng(3)
-    base = rng.integers(0, 2**63, 300, dtype=np.uint64)
-    flips = np.array([sum(1 << int(b) for b in rng.choice(64, rng.integers(0, 26), replace=False)) for _ in base], np.uint64)
-    prints = np.concatenate([base, base ^ flips])
-    index = decontam.MultiIndex(prints)
-    for x in base[:100]:
-        assert index.near(x) == np.flatnonzero(np.bitwise_count(prints ^ x) <= decontam.RADIUS).tolist()
+    base = rng.integers(0, 2**63, (300, decontam.LANES), dtype=np.uint64)
+    other = base.copy()
+    for row in other:
+        for b in rng.choice(256, rng.integers(0, 80), replace=False):
+            row[b // 64] ^= np.uint64(1 << int(b % 64))
+    prints = np.concatenate([base, other])
+    want = [(x, i) for x in range(100) for i in np.flatnonzero(np.bitwise_count(prints ^ base[x]).sum(1) <= decontam.RADIUS).tolist()]
+    for few in (False, True):  # by comparing values, and by looking up all that are near
+        index = decontam.MultiIndex(prints)
+        if few:
+            index.flips, index.tables = index.flips, [(np.r_[v, np.full(900, v[-1], np.uint64)], np.r_[f, np.full(900, f[-1])], o) for v, f, o in index.tables]
+        assert [tuple(map(int, x)) for x in zip(*index.near(base[:100]))] == want
+    assert decontam.MultiIndex(prints[:0]).near(base)[0].size == 0
+
+
+def test_sliding_fingerprints_are_those_of_the_windows():
+    rng = np.random.default_rng(4)
+    h, w = rng.integers(0, 2**63, 5000, dtype=np.uint64), rng.random(5000) * 3
+    starts = np.unique(np.r_[rng.integers(0, 4900, 300), np.arange(1000, 2600)])
+    got = decontam.sliding_simhash(h, w, starts, 60)
+    assert all((got[i] == decontam.simhash(h[s : s + 60], w[s : s + 60])).all() for i, s in enumerate(starts.tolist()))
+
+
+def test_fingerprints_of_similar_sets_are_near_however_uneven_the_weights():
+    """A template of low weight and some rare shingles: of sets with weighted similarity 0.8, 999 in 1000 are within the radius."""
+    rng = np.random.default_rng(5)
+    lost = n = 0
+    for _ in range(1500):
+        low, high = int(rng.integers(20, 120)), int(rng.integers(6, 30))
+        h = rng.integers(0, 2**63, low + high + 40, dtype=np.uint64)
+        weight = dict(zip(h.tolist(), [0.7] * low + [float(rng.uniform(3, 8))] * high + [8.0] * 40))
+        of = lambda x: np.array([weight[i] for i in x.tolist()])
+        a, b = h[: low + high], h.copy()
+        for cut in range(1, 40):  # rare shingles of a are changed until the similarity would fall below 0.8
+            c = np.concatenate([h[: low + high - cut], h[low + high : low + high + cut]])
+            if cut >= high or decontam.weighted_similarity(a, c, of) < 0.8:
+                break
+            b = c
+        if len(b) == len(a):
+            n += 1
+            lost += int(np.bitwise_count(decontam.simhash(a, of(a)) ^ decontam.simhash(b, of(b))).sum()) > decontam.RADIUS
+    assert n > 500 and lost <= n / 1000
+
+
+def test_copies_with_words_put_in_taken_out_and_changed(spark):
+    """The same pairs and similarities as all windows of all items, and the first of the best windows."""
+    rng = random.Random(9)
+    template = prose(rng, 30)
+    items = [(i, f"{template} {prose(rng, 15)}" if i % 3 == 0 else prose(rng, rng.randrange(50, 110))) for i in range(15)]
+    docs = []
+    for i in range(120):
+        w = items[i % 15][1].split()
+        for _ in range(rng.randrange(4)):
+            at = rng.randrange(len(w))
+            kind = rng.randrange(3)
+            w[at : at + (kind != 0)] = [f"x{rng.randrange(10**6)}"] if kind != 1 else []
+        docs.append((i, f"{prose(rng, rng.choice([0, 12]))} {' '.join(w)} {template if i % 4 == 0 else prose(rng, rng.choice([0, 9]))}"))
+    df = spark.createDataFrame(docs, "doc_id long, text string").repartition(2)
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    got = {(r.doc_id, r.item_id): round(r.similarity, 9) for r in decontam.contaminated(df, bench).collect()}
+    assert got == {k: round(s, 9) for k, s in brute(docs, items).items()}
+    assert len(got) > 40 and sum(s < 0.95 for s in got.values()) > 10
