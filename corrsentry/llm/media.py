@@ -1,10 +1,12 @@
 """Media columns: Netpbm and BMP to numpy arrays, area resize by integral images, NPY tiles, difference hashes.
 
 `decode` reads P1 to P6 (plain and raw, 8 and 16 bit) and uncompressed BMP (1, 4, 8, 24, 32 bit, either row order);
-`encode_pgm` stores bytes losslessly as 8-bit grey samples.  Damaged or truncated files give None in columns.
+`encode_pgm` gives bytes losslessly as 8-bit grey samples, which are stored as NPY tiles.  Damaged or truncated files
+give None in columns.
 
 Edge cases: null and empty texts are 64 zero bytes; equal texts give equal values whatever the batch; any length works,
-one image at a time.  An empty table gives an empty result.
+one image at a time: images are summed and cut in stripes of rows, so a long text needs a few times its own bytes.  An
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -91,24 +93,32 @@ def decode(data: bytes) -> np.ndarray:
 
 
 def grey(a: np.ndarray) -> np.ndarray:
-    """Luminance (weights .299, .587, .114) as float64."""
-    return a.astype(np.float64) if a.ndim == 2 else a[:, :, :3] @ np.array([0.299, 0.587, 0.114])
+    """Luminance (weights .299, .587, .114) of colours as float64; grey samples as they are."""
+    return a if a.ndim == 2 else a[:, :, :3] @ np.array([0.299, 0.587, 0.114])
+
+
+def _stripe_sums(a: np.ndarray, cells: int, stripe: int = 4096) -> np.ndarray:
+    """Sums of the rows under each of so many even cells: the integral along the rows, made stripe by stripe and kept only
+    where a cell begins, between two rows in proportion."""
+    n = len(a)
+    x = np.arange(cells + 1) * n / cells
+    i = np.minimum(x.astype(np.int64), n - 1)
+    below, above = (np.zeros((cells + 1, *a.shape[1:])) for _ in range(2))
+    total = np.zeros(a.shape[1:])
+    for lo in range(0, n, stripe):
+        part = np.cumsum(a[lo : lo + stripe].astype(np.float64), 0) + total
+        for place, out in ((i, below), (i + 1, above)):
+            here = (place > lo) & (place <= lo + len(part))
+            out[here] = part[place[here] - lo - 1]
+        total = part[-1]
+    f = (x - i).reshape(-1, *[1] * (a.ndim - 1))
+    return np.diff(below * (1 - f) + above * f, axis=0)
 
 
 def area_resize(a: np.ndarray, height: int, width: int) -> np.ndarray:
     """Mean of the exact source area under each target cell: the integral image, read at fractional corners."""
-
-    def at(total: np.ndarray, n: int, m: int) -> np.ndarray:
-        x = np.arange(m + 1) * n / m
-        i = np.minimum(x.astype(np.int64), n - 1)
-        f = (x - i).reshape(-1, *[1] * (total.ndim - 1))
-        return np.diff(total[i] * (1 - f) + total[i + 1] * f, axis=0)
-
     h, w = a.shape[:2]
-    flat = a.astype(np.float64)
-    rows = at(np.concatenate([np.zeros_like(flat[:1]), np.cumsum(flat, 0)]), h, height)
-    cols = np.moveaxis(rows, 1, 0)
-    both = at(np.concatenate([np.zeros_like(cols[:1]), np.cumsum(cols, 0)]), w, width)
+    both = _stripe_sums(np.moveaxis(_stripe_sums(a, height), 1, 0), width)
     return np.moveaxis(both, 0, 1) * (height * width) / (h * w)
 
 
@@ -152,19 +162,23 @@ def payload_of(text: bytes) -> bytes:
     return text + bytes(-len(text) % WIDTH if text else WIDTH)
 
 
-def text_media(docs: DataFrame) -> DataFrame:
-    """doc_id, text -> each text's bytes stored as a grey map, read back from the stored form and digested."""
+def text_media(docs: DataFrame, tile: int = 1024) -> DataFrame:
+    """doc_id, text -> each text's bytes as a grey map, decoded, stored as NPY tiles of up to `tile` rows, read back from
+    the tiles and digested.  media_*: of the tiles in order; feature: size and difference hash of the image read back."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out = []
             for i, text in zip(b.column(0).to_pylist(), b.column(1)):
                 raw = (text.as_py() or "").encode()
-                stored = encode_pgm(payload_of(raw))
-                image = decode(stored)
-                back = image.tobytes()
+                stored, size, parts = hashlib.sha256(), 0, []
+                for _, _, npy in npy_tiles(decode(encode_pgm(payload_of(raw))), tile):
+                    stored.update(npy)
+                    size += len(npy)
+                    parts.append(np.load(io.BytesIO(npy), allow_pickle=False))
+                image = np.concatenate(parts) if len(parts) > 1 else parts[0]
                 feature = f"{image.shape[0]}x{image.shape[1]}:{difference_hash(image):016x}"
-                out.append((i, len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(stored), hashlib.sha256(stored).hexdigest(), feature))
+                out.append((i, len(raw), image.size, hashlib.sha256(image).hexdigest(), zlib.crc32(image[-1]), size, stored.hexdigest(), feature))
             kinds = [b.schema[0].type, pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out) if out else [[]] * 8, kinds)], names=NAMES)
 
