@@ -70,7 +70,7 @@ def clear_scratch() -> None:
 atexit.register(clear_scratch)
 
 
-def ranked(df: DataFrame, keys: list[str], order: list[str], out: str, rows: int | None = None, per_task: int = 8_192, place: Column | None = None) -> DataFrame:
+def ranked(df: DataFrame, keys: list[str], order: list[str], out: str, rows: int | None = None, per_task: int = 2_048, place: Column | None = None) -> DataFrame:
     """df with a gapless rank from 0 (long) within `keys`, by the buckets of a hash of `order`, then by `order`.
 
     place: numbers from 0 to rows - 1 that grow with `order` over the whole of df; buckets are ranges of it, and the rank is by `order` alone.
@@ -94,13 +94,15 @@ def ranked(df: DataFrame, keys: list[str], order: list[str], out: str, rows: int
     return ranks.join(shift, on).withColumn(out, (F.col("_r") + F.col("_s")).cast("long")).drop("_b", "_r", "_s", "_c", *[f"_k{i}" for i in range(len(keys))])
 
 
-def even_join(rows: DataFrame, few: DataFrame, keys: list[str], how: str = "inner", share: int = 256, salts: int = 64) -> DataFrame:
-    """rows joined with few (a written table with one row a key and c, how many of rows have it), hot keys spread evenly.
+def even_join(rows: DataFrame, few: DataFrame, keys: list[str], how: str = "inner", share: int = 256, salts: int = 64, sizes: DataFrame | None = None) -> DataFrame:
+    """rows joined with few, hot keys spread evenly.  sizes (few, if it has one row a key): a written table with one row a
+    key and c, how many of rows have it.
 
-    Keys with more than 1/share of all the rows that few counts are dealt to `salts` tasks each; there are less than
+    Keys with more than 1/share of all the rows that sizes counts are dealt to `salts` tasks each; there are less than
     `share` of them, so their list stays small at any size."""
-    total = few.agg(F.sum("c")).first()[0] or 0
-    hot = [r[0] for r in few.where(F.col("c") > max(total / share, 1000)).select(F.xxhash64(*keys)).collect()]
+    sizes = few if sizes is None else sizes
+    total = sizes.agg(F.sum("c")).first()[0] or 0
+    hot = [r[0] for r in sizes.where(F.col("c") > max(total / share, 1000)).select(F.xxhash64(*keys)).collect()]
     if not hot:
         return rows.join(few, keys, how)
     is_hot = F.xxhash64(*keys).isin(hot)
