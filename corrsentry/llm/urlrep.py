@@ -16,7 +16,7 @@ from typing import NamedTuple
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import even_join, table, written
 
 
 class Rule(NamedTuple):
@@ -94,15 +94,16 @@ def url_filter(pages: DataFrame, outcomes: DataFrame, rules: list[Rule] = RULES,
     """pages (page_id, url) -> page_id, host, path, rule, verdict, good_rate, bound.  outcomes: page_id, good (0 or 1).
 
     Outcomes are joined by page and summed by host before any host-level join, so a host with a third of all pages
-    is one row there; the last join takes hosts to pages, where a hot host is split by Spark's skew handling."""
+    is one row there; the hosts are written once for all levels, and the last join, of hosts to pages, salts hot hosts."""
     host, path = split_url(F.col("url"))
     urls = pages.select("page_id", host.alias("host"), path.alias("path"))
     seen = outcomes.where(F.col("good").isNotNull()).groupBy("page_id").agg(F.count(F.lit(1)).alias("n"), F.sum("good").alias("good"))
-    hosts = urls.join(seen, "page_id", "left").groupBy("host").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.coalesce(F.sum("good"), F.lit(0)).alias("good"))
+    hosts = urls.join(seen, "page_id", "left").groupBy("host").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.coalesce(F.sum("good"), F.lit(0)).alias("good"), F.count(F.lit(1)).alias("c"))
+    hosts = written(hosts, "hosts")
     rated = reputation(hosts, z)
     rule, by_rule = matched_rule(F.col("host"), F.col("path"), rules)
     own = F.when(F.col("bound") < floor, "block").otherwise("allow")
-    return urls.join(rated, "host").select("page_id", "host", "path", rule.alias("rule"), F.coalesce(by_rule, own).alias("verdict"), "good_rate", "bound")
+    return even_join(urls, rated, ["host"], sizes=hosts).select("page_id", "host", "path", rule.alias("rule"), F.coalesce(by_rule, own).alias("verdict"), "good_rate", "bound")
 
 
 def op9_url_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
