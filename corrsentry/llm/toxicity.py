@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernel as K
-from .common import held_out, labelled_sample, only_ids, table
+from .common import held_out, labelled_sample, only_ids, table, written
 
 LIMIT = 20_000
 HEAD = 6
@@ -171,7 +171,8 @@ def fit(docs: DataFrame, labels: DataFrame, limit: int = LIMIT, kappa: float = 4
     """Model from a bounded labelled sample and the counts of its tokens in the whole corpus.
 
     Only tokens in at least `least` sampled texts get scores of their own, so their number is bounded by the sample."""
-    sample = only_ids(docs, labelled_sample(labels, "toxic", limit)).select("text", "y")
+    # read again and again below: a bounded table of its own, so that the corpus is read just for the counts
+    sample = written(only_ids(docs, labelled_sample(labels, "toxic", limit)).select("text", "y"), "sample")
     counts = sample.mapInArrow(_label_counts, "kind int, id long, y0 long, y1 long").groupBy("kind", "id").agg(F.sum("y0").alias("y0"), F.sum("y1").alias("y1"))
     got = counts.where(F.col("y0") + F.col("y1") >= F.when(F.col("kind") == 2, 0).otherwise(least)).toPandas().sort_values(["kind", "id"])
     whole = got[got["kind"] == 2]
