@@ -48,14 +48,15 @@ def _weak(tag: Column) -> Column:
     return F.regexp_replace(tag, "^W/", "")
 
 
-def resolve_revisits(captures: DataFrame, buckets: int = 64) -> DataFrame:
+def resolve_revisits(captures: DataFrame, buckets: int | None = None) -> DataFrame:
     """captures (id, url, ts timestamp, is_revisit boolean, headers map with lower-case names, digest) -> a row for each
     revisit: id, url, ts, response_id, verdict (etag, last-modified, digest, mismatch, unverified or missing) and
-    headers (merged, or null unless resolved)."""
+    headers (merged, or null unless resolved).  buckets: of time; None: more with more rows, so that those of one URL in
+    one bucket stay few."""
     rows = captures.select("id", "url", canonical_url(F.col("url")).alias("page"), "ts", "is_revisit", "headers", "digest")
-    ends = rows.agg(F.min("ts"), F.max("ts")).first()
+    *ends, n = captures.agg(F.min("ts"), F.max("ts"), F.count(F.lit(1))).first()
     lo, hi = (x.timestamp() if x else 0.0 for x in ends)
-    width = max(1.0, (hi - lo + 1) / buckets)
+    width = max(1.0, (hi - lo + 1) / (buckets or min(1 << 20, 64 + n // 50_000)))
     rows = rows.withColumn("bucket", F.floor((F.col("ts").cast("double") - lo) / width))
     full = F.when(~F.col("is_revisit") & F.col("ts").isNotNull(), F.struct(F.col("id"), F.col("headers"), F.col("digest")))
     rows = rows.withColumn("full", full)
@@ -95,13 +96,17 @@ def _members(raw: bytes) -> Iterator[bytes]:
     if raw[:2] != b"\x1f\x8b":
         yield raw
         return
-    while raw[:2] == b"\x1f\x8b":
-        d = zlib.decompressobj(31)
+    view, at = memoryview(raw), 0
+    while view[at : at + 2] == b"\x1f\x8b":
+        d, plain = zlib.decompressobj(31), []
         try:
-            yield d.decompress(raw)
+            while not d.eof and at < len(view):  # fed by pieces: what a member leaves over is never more than one piece
+                piece = view[at : at + 65_536]
+                plain.append(d.decompress(piece))
+                at += len(piece) - len(d.unused_data)
         except zlib.error:
             return
-        raw = d.unused_data
+        yield b"".join(plain)
 
 
 def _fields(head: bytes) -> tuple[str, dict[str, str]]:

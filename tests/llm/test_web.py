@@ -175,3 +175,19 @@ def test_texts_come_back_from_their_stored_form(spark, docs, none):
         assert (r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) == (len(raw), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]))
         assert r.media_bytes > r.payload_bytes
     assert media.text_media(none).count() == 0
+
+
+def test_long_images_are_summed_in_stripes_as_at_once():
+    rng = np.random.default_rng(7)
+    a = rng.integers(0, 256, (10_007, 64), dtype=np.uint8)
+    assert np.allclose(media._stripe_sums(a, 9, 1000), media._stripe_sums(a, 9, 1 << 20), rtol=0, atol=1e-6)
+    assert media._stripe_sums(a, 10_007).tolist() == a.astype(float).tolist()
+
+
+def test_gzip_members_are_read_one_after_the_other():
+    import gzip
+
+    plain = [bytes([i]) * (i * 5000) for i in range(1, 30)]
+    raw = b"".join(gzip.compress(p) for p in plain)
+    assert list(revisit._members(raw)) == plain and list(revisit._members(raw + b"junk")) == plain
+    assert list(revisit._members(raw + b"\x1f\x8b\x08damaged"))[:29] == plain
