@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import kernel as K
-from .common import release, table, written
+from .common import even_join, forget, release, table, written
 
 Q, T = 3, 11
 SKETCH_LIMIT = 22
@@ -164,12 +164,15 @@ def _family_links(nodes: DataFrame, texts: DataFrame, size: int, percent: int, r
     The members outside the family's largest component are compared with all, in blocks of at most `rows` rows and about
     `shingles_` shingles: a task holds two blocks.  Only links come back, at most two for each row and component."""
     shares = nodes.groupBy("fam", "comp").agg(F.count(F.lit(1)).alias("k"), F.sum("n").alias("n"))
-    fams = shares.groupBy("fam").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.count(F.lit(1)).alias("parts"), F.sum("k").alias("k"), F.sum("n").alias("n")).where("parts > 1")
-    blocks = F.greatest(F.ceil(F.col("k") / rows), F.ceil(F.col("n") / shingles_)).cast("int")
-    own = nodes.select("node", "fam", "comp").join(fams.select("fam", "main", blocks.alias("blocks")), "fam").withColumn("b", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    own = own.join(texts, "node")
-    few = own.where("comp <> main").withColumn("c", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("fam", F.col("b").alias("i"), F.col("c").alias("j"), "node", "comp", "text")
-    all_ = own.join(own.where("comp <> main").select("fam", F.col("b").alias("i")).distinct(), "fam").select("fam", "i", F.col("b").alias("j"), "node", "comp", "text")
+    blocks = F.greatest(F.ceil(F.col("c") / rows), F.ceil(F.col("n") / shingles_)).cast("int")
+    fams = shares.groupBy("fam").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.count(F.lit(1)).alias("parts"), F.sum("k").alias("c"), F.sum("n").alias("n")).where("parts > 1")
+    fams = written(fams.select("fam", "main", "c", blocks.alias("blocks")), "fams")
+    own = written(even_join(nodes.select("node", "fam", "comp"), fams, ["fam"]).withColumn("b", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")), "parts")
+    apart = own.where("comp <> main")
+    # a family's blocks with members outside its largest component: one short list a family
+    lists = written(apart.groupBy("fam").agg(F.collect_set("b").alias("places"), F.first("c").alias("c")), "lists")
+    few = apart.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).join(texts, "node").select("fam", F.col("b").alias("i"), "j", "node", "comp", "text")
+    all_ = even_join(own.select("fam", F.col("b").alias("j"), "node", "comp"), lists, ["fam"]).withColumn("i", F.explode("places")).join(texts, "node").select("fam", "i", "j", "node", "comp", "text")
 
     def run(a: pa.Table, b: pa.Table) -> pa.Table:
         sides = []
@@ -224,8 +227,9 @@ def _placed(docs: DataFrame, size: int, percent: int, q: int, t: int) -> DataFra
     nodes = sig.where("keys is not null").groupBy("node").agg(F.first("n").alias("n"), F.first("sketch").alias("sketch"))
     nodes = written(nodes, "nodes")
     keyed = sig.where("keys is not null").select("node", F.explode("keys").alias("key"))
-    shared = keyed.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("_tail")).where("head <> _tail").drop("_tail")
-    members = written(keyed.join(shared, "key").distinct(), "members")
+    shared = written(keyed.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("_tail"), F.count(F.lit(1)).alias("c")).where("head <> _tail").drop("_tail"), "shared")
+    members = written(even_join(keyed, shared, ["key"]).drop("c").distinct(), "members")
+    forget(shared)
     ends = lambda c: nodes.select(F.col("node").alias(c), F.col("n").alias(f"n{c}"), F.col("sketch").alias(f"s{c}"))
     gap = F.bit_count(F.col("sx").bitwiseXOR(F.col("sy")))
     alike = (F.least("nx", "ny") * 100 >= F.greatest("nx", "ny") * percent) & (gap <= SKETCH_LIMIT)
@@ -247,10 +251,10 @@ def _placed(docs: DataFrame, size: int, percent: int, q: int, t: int) -> DataFra
     at = members.select("key", "node").join(placed.select("node", "fam"), "node", "left").select("key", "node", F.coalesce("fam", "node").alias("fam"))
     # one side leaves out the bucket's largest family: a great family with a few strangers is not joined with itself
     shares = at.groupBy("key", "fam").agg(F.count(F.lit(1)).alias("k"))
-    mixed = shares.groupBy("key").agg(F.max_by("fam", F.struct("k", "fam")).alias("main"), F.count(F.lit(1)).alias("fams")).where("fams > 1").select("key", "main")
-    at = written(at.join(mixed, "key").join(nodes, "node"), "mixed")
+    mixed = written(shares.groupBy("key").agg(F.max_by("fam", F.struct("k", "fam")).alias("main"), F.count(F.lit(1)).alias("fams"), F.sum("k").alias("c")).where("fams > 1").select("key", "main", "c"), "buckets")
+    at = written(even_join(at, mixed, ["key"]).drop("c").join(nodes, "node"), "mixed")
     side = lambda e: at.select("key", "main", F.col("node").alias(e), F.col("fam").alias(f"f{e}"), F.col("n").alias(f"n{e}"), F.col("sketch").alias(f"s{e}"))
-    cross = side("x").where("fx <> main").join(side("y").drop("main"), "key").where(((F.col("fy") == F.col("main")) | (F.col("fx") < F.col("fy"))) & alike)
+    cross = even_join(side("y").drop("main"), side("x").where("fx <> main"), ["key"], sizes=mixed).where(((F.col("fy") == F.col("main")) | (F.col("fx") < F.col("fy"))) & alike)
     cross = cross.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).distinct()
     outer = written(_verified(cross, texts, size, percent), "links")
     comps = components(links.unionByName(inner).unionByName(outer))
