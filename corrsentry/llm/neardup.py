@@ -258,12 +258,14 @@ def _placed(docs: DataFrame, size: int, percent: int, q: int, t: int) -> DataFra
     cross = cross.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).distinct()
     outer = written(_verified(cross, texts, size, percent), "links")
     comps = components(links.unionByName(inner).unionByName(outer))
-    own = sig.where("n > 0").groupBy("node").agg(_first(F.struct("doc_id", "tag")).alias("first"))
-    named = own.join(comps, "node", "left").select("node", "first", F.coalesce("comp", "node").alias("comp"))
-    least = named.groupBy("comp").agg(_first(F.col("first")).alias("first"))
-    label = named.select("node", "comp").join(least, "comp").select("node", "first")
+    # a node may stand for a third of all rows, a component for a third of all nodes
+    own = sig.where("n > 0").groupBy("node").agg(_first(F.struct("doc_id", "tag")).alias("first"), F.count(F.lit(1)).alias("rows"))
+    named = written(own.join(comps, "node", "left").select("node", "first", "rows", F.coalesce("comp", "node").alias("comp")), "named")
+    least = written(named.groupBy("comp").agg(_first(F.col("first")).alias("first"), F.count(F.lit(1)).alias("c")), "least")
+    label = written(even_join(named.select("node", "rows", "comp"), least, ["comp"]).select("node", "first", F.col("rows").alias("c")), "label")
+    told = even_join(sig.where("n > 0").select("doc_id", "tag", "n", "node"), label, ["node"]).select("doc_id", "tag", "n", "first")
     release(docs.sparkSession)
-    return sig.select("doc_id", "tag", "n", "node").join(label, "node", "left").drop("node")
+    return told.unionByName(sig.where("n = 0").select("doc_id", "tag", "n", F.lit(None).cast(label.schema["first"].dataType).alias("first")))
 
 
 def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, q: int = Q, t: int = T) -> DataFrame:
