@@ -8,6 +8,7 @@ from ..functions.kernels import BlockConfig
 from ..operators import inject, measures
 from ..operators.detect import DetectConfig, best_scores, detect, members
 from ..plans import evaluate as E
+from ..plans.planner import Limits, detect_any
 from .registry import query, s6, u6
 from .scoring import document_cells
 
@@ -31,6 +32,46 @@ def table1_log(spark, d):
     return E.table1(E.log_cells(spark, d))
 
 
+@query()
+def table1_log_calibrated(spark, d):
+    """Big groups as large as the theory asks of the direct score: with the stream's low background, most of the window."""
+    return E.table1(E.log_cells(spark, d), DetectConfig(detectors=("direct", "sampled", "block", "cascade")), inject.InjectConfig(calibrate=0.7))
+
+
+@query()
+def table1_log_seed_neighbourhoods(spark, d):
+    """The block model started from dense neighbourhoods where the sample names nobody."""
+    return E.table1(E.log_cells(spark, d), DetectConfig(detectors=("sampled", "block"), fallback=True))
+
+
+@query()
+def table1_log_random_draws(spark, d):
+    """Draws with replacement, five seeds: mean and spread of the alerts in each regime."""
+    out = None
+    for seed in range(5):
+        x = E.table1(E.log_cells(spark, d), DetectConfig(detectors=("sampled",), scheme="random", seed=seed)).select("regime", "alerts", "recall", "accuracy")
+        out = x if out is None else out.unionByName(x)
+    return out.groupBy("regime").agg(F.avg("alerts").alias("alerts"), F.stddev_pop("alerts").alias("alerts_sd"), F.avg("recall").alias("recall"), F.avg("accuracy").alias("accuracy"))
+
+
+@query()
+def workload_access_log_hourly(spark, d):
+    """Hour windows every ten minutes."""
+    return best_scores(detect(E.log_cells(spark, d, length="1 hour", slide="10 minutes"), DetectConfig()))
+
+
+@query()
+def detect_cascade(spark, d):
+    """The merged detector by itself: core and suspicious entities of each window."""
+    return detect(E.log_cells(spark, d), DetectConfig(detectors=("cascade",))).where("entity is not null").select("win_id", "group_id", "entity", "score")
+
+
+@query()
+def detect_large_windows(spark, d):
+    """The whole span as one window, which no task holds: tiles, capped sample and pair table."""
+    return best_scores(detect_any(E.log_cells(spark, d, length="32 days"), DetectConfig(detectors=("direct", "sampled", "block", "cascade")), Limits(exact=1, one_task=1))).drop("seconds")
+
+
 @query()
 def table1_log_direct06(spark, d):
     """The classical score at the lower threshold: more alerts, more false ones."""
@@ -45,7 +86,7 @@ def table1_log_noisy(spark, d):
 
 @query()
 def table1_prices(spark, d):
-    return E.table1(E.price_cells(spark, d, 30, 12), DetectConfig(detectors=ALL, peel_graph="pairs", block=BlockConfig(k=5)), inject.InjectConfig(kind="price"))
+    return E.table1(E.price_cells(spark, d), DetectConfig(detectors=ALL, peel_graph="pairs", block=BlockConfig(k=5)), inject.InjectConfig(kind="price"))
 
 
 for _g in E.GRIDS:

@@ -33,7 +33,7 @@ def _replayed(spark, d, parts: int = 4) -> str:
 def stream_panes_closed(spark, d):
     """Panes a stream has closed at its end: those whose end the watermark has passed."""
     s = live.closed_panes(readers.stream_events(spark, _replayed(spark, d), 100), _DAY)
-    return live.collect_stream(spark, s, f"panes_{uuid.uuid4().hex}")
+    return live.replay(s, _shared(spark))[0]
 
 
 @query()
@@ -45,6 +45,14 @@ def stream_detection(spark, d):
     return spark.read.parquet(f"{out}/scores").select("win_id", "detector", "score", "alert", "n")
 
 
+@query()
+def stream_grades(spark, d):
+    """Core and suspicious entities of the live alerts."""
+    out = _shared(spark)
+    live.start(readers.stream_events(spark, _replayed(spark, d)), out, matrix.MatrixSpec(length="1 day", slide="6 hours")).awaitTermination()
+    return spark.read.parquet(f"{out}/grades").select("win_id", "entity", "grade", "found_by")
+
+
 @query(f"""WITH {EV}, l AS (SELECT entity, at_s, lag(at_s) OVER (PARTITION BY entity ORDER BY at_s) AS old FROM ev), g AS (SELECT entity, at_s, sum(CASE WHEN old IS NULL OR at_s >= old + 21600 THEN 1 ELSE 0 END) OVER (PARTITION BY entity ORDER BY at_s RANGE UNBOUNDED PRECEDING) AS s FROM l)
 SELECT entity AS user_id, min(at_s) AS first_s, max(at_s) + 21600 AS end_s, count(*) AS n FROM g GROUP BY entity, s""")
 def sessions(spark, d):
@@ -60,7 +68,7 @@ def stream_dedupe(spark, d):
     twice = _shared(spark)
     e.unionByName(e).repartitionByRange(2, "ts").write.parquet(twice)
     s = live.distinct_events(readers.stream_events(spark, twice).select("event_id", "ts"), "40 days")
-    return live.collect_stream(spark, s, f"dedupe_{uuid.uuid4().hex}").agg(F.count(F.lit(1)).alias("events"))
+    return live.replay(s, _shared(spark))[0].agg(F.count(F.lit(1)).alias("events"))
 
 
 @query()
@@ -73,9 +81,8 @@ def stream_late_dropped(spark, d):
     e.orderBy(F.desc("ts")).limit(5).coalesce(1).write.mode("append").parquet(out)
     e.orderBy("ts").limit(200).coalesce(1).write.mode("append").parquet(out)
     s = live.closed_panes(readers.stream_events(spark, out), _DAY)
-    q = s.writeStream.outputMode("append").format("memory").queryName(f"late_{uuid.uuid4().hex}").trigger(availableNow=True).start()
-    q.awaitTermination()
-    late = sum(json.loads(p.json)["stateOperators"][0]["numRowsDroppedByWatermark"] for p in q.recentProgress if json.loads(p.json)["stateOperators"])
+    _, progress = live.replay(s, _shared(spark))
+    late = sum(json.loads(p.json)["stateOperators"][0]["numRowsDroppedByWatermark"] for p in progress if json.loads(p.json)["stateOperators"])
     return spark.createDataFrame([(int(late),)], "dropped long")
 
 

@@ -143,6 +143,44 @@ class BlockConfig(NamedTuple):
     max_iter: int = 30
     unimodal: bool = False
     schedule: str = "synchronous"
+    pairs: int = 200_000  # sampled pairs that stand for the background where there are more than twice as many
+
+
+class Columns:
+    """Correlations of one window, made column by column when they are asked for: the block model reads those of grouped
+    entities alone, so its cost is in their number times n and not in n squared.
+
+    u: unit rows; or p: the whole matrix.  Unread parts of the arrays take no memory."""
+
+    def __init__(self, u: np.ndarray | None = None, p: np.ndarray | None = None, mode: str = "abs", clamp: float = 1e-3) -> None:
+        self.u, self.whole, self.mode, self.clamp = u, p, mode, clamp
+        self.n = len(u if p is None else p)
+        self.p, self.l1, self.l2 = (np.empty((self.n, self.n), order="F") for _ in range(3))
+        self.have = np.zeros(self.n, bool)
+
+    def need(self, at: np.ndarray) -> None:
+        new = at[~self.have[at]]
+        if len(new):
+            c = self.whole[:, new] if self.whole is not None else in_mode(np.clip(self.u @ self.u[new].T, -1, 1), self.mode)
+            w = np.clip(c, self.clamp, 1 - self.clamp)
+            self.p[:, new], self.l1[:, new], self.l2[:, new] = c, np.log(w), np.log1p(-w)
+            self.p[new, new], self.l1[new, new], self.l2[new, new] = 1.0, 0.0, 0.0
+            self.have[new] = True
+
+    def inner(self, at: np.ndarray) -> np.ndarray:
+        self.need(at)
+        return self.p[np.ix_(at, at)]
+
+    def background(self, pairs: int, seed: int = 7) -> np.ndarray:
+        """Correlations of all pairs, or of so many pairs drawn at random where there are more than twice as many."""
+        n = self.n
+        if n * (n - 1) // 2 <= 2 * pairs:
+            self.need(np.arange(n))
+            return self.p[np.triu_indices(n, 1)]
+        rng = np.random.default_rng(seed)
+        i = rng.integers(0, n, pairs)
+        j = (i + rng.integers(1, n, pairs)) % n
+        return self.whole[i, j] if self.whole is not None else in_mode(np.clip(np.einsum("ij,ij->i", self.u[i], self.u[j]), -1, 1), self.mode)
 
 
 class Block(NamedTuple):
@@ -246,30 +284,35 @@ def gains(l1: np.ndarray, l2: np.ndarray, z: np.ndarray, a: np.ndarray, b: np.nd
     return out
 
 
-def block_model(p: np.ndarray, z: np.ndarray, cfg: BlockConfig = BlockConfig()) -> Block:  # noqa: B008
+def block_model(p: np.ndarray | Columns, z: np.ndarray, cfg: BlockConfig = BlockConfig(), background: np.ndarray | None = None) -> Block:  # noqa: B008
     """Groups of the correlation matrix p from first labels z (0 background, 1..k): alternate shape fits and label updates
-    until no label changes; a round that would lower the likelihood keeps only its better half of moves, or ends."""
-    n, k = len(p), cfg.k
-    w = np.clip(p, cfg.clamp, 1 - cfg.clamp)
-    l1, l2 = np.log(w), np.log1p(-w)
-    np.fill_diagonal(l1, 0.0)
-    np.fill_diagonal(l2, 0.0)
-    total = (n * (n - 1) / 2, l1.sum() / 2, l2.sum() / 2)
+    until no label changes; a round that would lower the likelihood keeps only its better half of moves, or ends.
+
+    The background is known by all pairs or a sample of them (cfg.pairs), scaled to all, less the groups' pairs."""
+    c = p if isinstance(p, Columns) else Columns(p=p, clamp=cfg.clamp)
+    n, k = c.n, cfg.k
+    l1, l2, off = c.l1, c.l2, c.p
+    if n < 2:
+        return Block(np.zeros(n, np.int64), np.ones(k + 1), np.ones(k + 1), 0, 0, [])
+    some = c.background(cfg.pairs) if background is None else background
+    w = np.clip(some, cfg.clamp, 1 - cfg.clamp)
+    all_ = n * (n - 1) / 2
+    total = (all_, np.log(w).mean() * all_, np.log1p(-w).mean() * all_)
+    c.need(np.flatnonzero(z))
     a, b = np.ones(k + 1), np.ones(k + 1)
     limits = [(0.0, cfg.background_top)] + [(cfg.mean_floor, 1.0 - 1e-6)] * k
     z = z.copy()
-    off = w.copy()
-    np.fill_diagonal(off, 0.0)
     inside, pairs = 0.0, 0
     for g in range(1, k + 1):
         at = np.flatnonzero(z == g)
-        c = len(at) * (len(at) - 1) / 2
-        s = off[np.ix_(at, at)].sum() / 2
-        inside, pairs = inside + s, pairs + c
-        a[g], b[g] = from_mean(s / c if c else cfg.mean_floor, *limits[g])
-    a[0], b[0] = from_mean((off.sum() / 2 - inside) / max(total[0] - pairs, 1), *limits[0])
+        m = len(at) * (len(at) - 1) / 2
+        s = (off[np.ix_(at, at)].sum() - len(at)) / 2
+        inside, pairs = inside + s, pairs + m
+        a[g], b[g] = from_mean(s / m if m else cfg.mean_floor, *limits[g])
+    a[0], b[0] = from_mean((w.mean() * all_ - inside) / max(all_ - pairs, 1), *limits[0])
 
     def fitted(z: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
+        c.need(np.flatnonzero(z))
         m, s1, s2 = _stats(l1, l2, z, k, total)
         a, b = a.copy(), b.copy()
         for g in range(k + 1):
@@ -284,6 +327,7 @@ def block_model(p: np.ndarray, z: np.ndarray, cfg: BlockConfig = BlockConfig())
             nz = z.copy()
             for i in range(n):
                 touched += int((nz > 0).sum())
+                c.need(np.flatnonzero(nz))
                 nz[i] = int(gains(l1, l2, nz, a, b, np.array([i]))[0].argmax())
             gain = gains(l1, l2, z, a, b)
         else:

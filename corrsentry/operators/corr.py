@@ -83,12 +83,11 @@ def columns(cells: DataFrame) -> DataFrame:
 def tiles(cols: DataFrame, tile: int = 2048) -> DataFrame:
     """win_id, bi <= bj, rows, cols (entity ids), p (row-major signed correlations) of every tile of the upper triangle.
 
-    An entity's block is its rank in the window over the tile size; a block of columns is sent to each tile that needs
-    it, and a task multiplies two blocks, so memory is tile * (2 M + tile) doubles whatever the window's size."""
-    w = Window.partitionBy("win_id").orderBy("entity")
-    ranked = cols.withColumn("b", F.floor((F.row_number().over(w) - 1) / tile).cast("int"))
-    n = ranked.groupBy("win_id").agg(F.max("b").alias("top"))
-    wide = ranked.join(n, "win_id")
+    An entity's block is a hash of its id, so nothing is ranked; blocks hold about `tile` entities.  A block of columns is
+    sent to each tile that needs it, and a task multiplies two blocks, so memory is about tile * (2 M + tile) doubles
+    whatever the window's size."""
+    n = cols.groupBy("win_id").agg((F.ceil(F.count(F.lit(1)) / tile) - 1).cast("int").alias("top"))
+    wide = cols.join(F.broadcast(n), "win_id").withColumn("b", F.pmod(F.xxhash64("entity"), F.col("top") + 1).cast("int"))
     left = wide.withColumn("o", F.explode(F.sequence("b", "top"))).select("win_id", F.col("b").alias("bi"), F.col("o").alias("bj"), "entity", "x")
     right = wide.withColumn("o", F.explode(F.sequence(F.lit(0), "b"))).select("win_id", F.col("o").alias("bi"), F.col("b").alias("bj"), "entity", "x")
 
@@ -103,11 +102,11 @@ def tiles(cols: DataFrame, tile: int = 2048) -> DataFrame:
 
 
 def tile_pairs(tiled: DataFrame) -> DataFrame:
-    """Pairs i < j of the tiles."""
-    at = tiled.select("win_id", "rows", "cols", F.posexplode("p").alias("pos", "rho"))
+    """Pairs i < j of the tiles; one on the diagonal has each pair twice, any other once."""
+    at = tiled.select("win_id", "bi", "bj", "rows", "cols", F.posexplode("p").alias("pos", "rho"))
     width = F.size("cols")
     i, j = F.element_at("rows", (F.floor(F.col("pos") / width) + 1).cast("int")), F.element_at("cols", (F.col("pos") % width + 1).cast("int"))
-    return at.select("win_id", i.alias("i"), j.alias("j"), "rho").where("i < j")
+    return at.select("win_id", "bi", "bj", i.alias("i"), j.alias("j"), "rho").where("bi <> bj or i < j").select("win_id", F.least("i", "j").alias("i"), F.greatest("i", "j").alias("j"), "rho")
 
 
 def recover_signs(members: DataFrame, pairs: DataFrame) -> DataFrame:

@@ -5,12 +5,16 @@ sampled  principal score of a norm-weighted sample, members from the whole windo
 block    beta block model from the sampled members, or from dense neighbourhoods if there are none
 peel     densest remainder of the entity-feature graph (or of the correlation graph)
 mixture  least likely groups under a mixture of Gaussian topics
-cascade  sampled and block together, graded core (both) or suspicious (one)
+cascade  sampled and block together: group 1 is the core (named by alerts of both), group 2 the suspicious (by one)
+
+A window's unit rows, correlation matrix and draw are made once and shared by the detectors that need them; the block
+model needs no matrix but only the columns of grouped entities.
 """
 
 from __future__ import annotations
 
 import time
+from functools import cached_property
 from typing import NamedTuple
 
 import numpy as np
@@ -34,12 +38,17 @@ class DetectConfig(NamedTuple):
     p: float = 1.4
     r: float = 0.2
     u: float = 0.5
+    scheme: str = "systematic"  # or random: with replacement by the weights; poisson: independent counts
+    seed: int = 0
     weighting: str = "norm"
     dedupe: bool = False
     whole_labels: bool = True
     repeats: int = 1
     max_sample: int = 4096
     seed_cut: float = 0.7
+    fallback: bool = False  # where the sample names nobody: start the block model from the densest neighbourhoods
+    min_group: int = 4  # of the block model's groups that may alert
+    chance: float = 3.0  # and so many deviations above the entities that the background alone would correlate with one; 0: off
     block: K.BlockConfig = K.BlockConfig()
     peel_graph: str = "features"
     peel_stop: str = "full"
@@ -49,69 +58,134 @@ class DetectConfig(NamedTuple):
     early_out: bool = False
 
 
-class Window1(NamedTuple):
+class Window1:
     """One window as arrays, and what detectors share."""
 
-    entity: np.ndarray
-    x: np.ndarray
-    n_constant: int
-    weight: np.ndarray
+    def __init__(self, win: int, entity: np.ndarray, x: np.ndarray, n_constant: int, weight: np.ndarray, cfg: DetectConfig) -> None:
+        self.win, self.entity, self.x, self.n_constant, self.weight, self.cfg = win, entity, x, n_constant, weight, cfg
+        self.start: np.ndarray | None = None  # first vector of the eigenvalue solver
+
+    @cached_property
+    def p(self) -> np.ndarray:
+        return K.correlations(self.x, self.cfg.mode)
+
+    @cached_property
+    def columns(self) -> K.Columns:
+        if "p" in self.__dict__:  # another detector has made the matrix
+            return K.Columns(p=self.p, clamp=self.cfg.block.clamp)
+        c = self.x - self.x.mean(1, keepdims=True)
+        return K.Columns(u=c / np.sqrt((c * c).sum(1, keepdims=True)), mode=self.cfg.mode, clamp=self.cfg.block.clamp)
+
+    @cached_property
+    def first_draw(self) -> K.Sampled:
+        return _draw(self, self.cfg)
+
+    @cached_property
+    def blocks(self) -> list[dict]:
+        return _block(self, self.cfg)
 
+    @cached_property
+    def drawn(self) -> list[dict]:
+        return _sampled(self, self.cfg)
 
-def prepared(e: np.ndarray, x: np.ndarray, cfg: DetectConfig) -> Window1:
+
+def prepared(win: int, e: np.ndarray, x: np.ndarray, cfg: DetectConfig) -> Window1:
     keep = varying(x)
     w = K.whole_weights(K.norms(x, cfg.p)) if cfg.weighting == "norm" else np.ones(len(x), np.int64)
-    return Window1(e[keep], x[keep], int((~keep).sum()), w[keep])
+    return Window1(win, e[keep], x[keep], int((~keep).sum()), w[keep], cfg)
 
 
 def _direct(w: Window1, cfg: DetectConfig) -> list[dict]:
-    p = K.correlations(w.x, cfg.mode)
+    p = w.p
     if cfg.early_out and len(p) and p.sum(1).max() / len(p) <= cfg.threshold:
         return [{"score": float(p.sum() / len(p) ** 2), "alert": False, "members": {}}]
-    lam, q, steps = K.principal(p, cfg.exact)
+    lam, q, steps = K.principal(p, cfg.exact, w.start)
     load = K.loadings(p, q, lam) if len(p) else np.zeros(0)
     at = np.flatnonzero(load >= cfg.loading_cut)
     return [{"lambda1": lam, "score": lam / max(len(p), 1), "steps": steps, "members": dict(zip(at.tolist(), load[at].tolist()))}]
 
 
+def _mult(w: Window1, cfg: DetectConfig, m: int, repeat: int) -> np.ndarray:
+    """How often each entity is drawn.  Random draws depend on the seed, the window and the repeat alone."""
+    if cfg.scheme == "systematic":
+        return K.systematic(w.weight, m, (cfg.u + repeat / max(cfg.repeats, 1)) % 1.0)
+    share = w.weight / max(float(w.weight.sum()), 1.0)
+    if share.sum() <= 0:
+        return np.zeros(len(share), np.int64)
+    rng = np.random.default_rng([cfg.seed, w.win % (1 << 32), repeat])
+    if cfg.scheme == "random":
+        return rng.multinomial(m, share / share.sum())
+    if cfg.scheme == "poisson":
+        return rng.poisson(m * share)
+    raise ValueError("scheme must be systematic, random or poisson")
+
+
 def _draw(w: Window1, cfg: DetectConfig, repeat: int = 0) -> K.Sampled:
     m = min(max(1, int(np.floor(len(w.x) * cfg.r + 0.5))), cfg.max_sample)
-    mult = K.systematic(w.weight, m, (cfg.u + repeat / max(cfg.repeats, 1)) % 1.0)
+    mult = _mult(w, cfg, m, repeat)
     return K.sampled_score(w.x, np.minimum(mult, 1) if cfg.dedupe else mult, cfg.mode, cfg.whole_labels, cfg.exact)
 
 
 def _sampled(w: Window1, cfg: DetectConfig) -> list[dict]:
     """With repeats: the median score, an alert by majority, members by the first draw."""
-    draws = [_draw(w, cfg, i) for i in range(cfg.repeats)]
+    draws = [w.first_draw, *(_draw(w, cfg, i) for i in range(1, cfg.repeats))]
     s = draws[0]
     at = np.flatnonzero(s.loading >= cfg.loading_cut)
-    scores = [d.score for d in draws]
-    return [{"lambda1": s.lam, "score": float(np.median(scores)), "alert": sum(x > cfg.threshold for x in scores) * 2 > cfg.repeats, "steps": s.steps, "sample": len(s.drawn), "members": dict(zip(at.tolist(), s.loading[at].tolist()))}]
+    scores = [d.score for d in draws if not np.isnan(d.score)]
+    score = float(np.median(scores)) if scores else 0.0
+    return [{"lambda1": s.lam, "score": score, "alert": sum(x > cfg.threshold for x in scores) * 2 > cfg.repeats, "steps": s.steps, "sample": len(s.drawn), "members": dict(zip(at.tolist(), s.loading[at].tolist()))}]
 
 
 def _block(w: Window1, cfg: DetectConfig) -> list[dict]:
-    p = K.correlations(w.x, cfg.mode)
-    first = np.flatnonzero(_draw(w, cfg).loading >= cfg.loading_cut)
-    z = np.zeros(len(p), np.int64)
+    """A group alerts if its score passes the threshold and it is larger than what the background would give: about n q
+    entities correlate with any one at the mean floor, if a share q of the pairs does."""
+    c, n = w.columns, len(w.x)
+    first = np.flatnonzero(w.first_draw.loading >= cfg.loading_cut)
+    background = c.background(cfg.block.pairs)
+    z = np.zeros(n, np.int64)
     if len(first) >= 2:
-        z[first] = K.farthest_first(p, first, cfg.block.k)
-    else:
-        z = K.neighbourhoods(p, cfg.seed_cut, cfg.block.k)
+        c.need(first)
+        z[first] = K.farthest_first(c.p, first, cfg.block.k)
+    elif cfg.fallback:
+        c.need(np.arange(n))
+        z = K.neighbourhoods(c.p, cfg.seed_cut, cfg.block.k)
     if not (z > 0).any():
         return [{"score": 0.0, "alert": False, "members": {}, "rounds": 0, "touched": 0}]
-    m = K.block_model(p, z, cfg.block)
+    m = K.block_model(c, z, cfg.block, background)
+    by_chance = n * float((background >= cfg.block.mean_floor).mean())
+    least = max(cfg.min_group, 1 + by_chance + cfg.chance * np.sqrt(by_chance) if cfg.chance > 0 else 0)
     out = []
     for g in range(1, cfg.block.k + 1):
         at = np.flatnonzero(m.z == g)
         if len(at):
-            own = p[np.ix_(at, at)]
+            own = c.inner(at)
             lam, q, steps = K.principal(own, cfg.exact)
-            out.append({"group_id": g, "lambda1": lam, "score": lam / len(at), "steps": steps, "rounds": m.rounds, "touched": m.touched, "members": dict(zip(at.tolist(), K.loadings(own, q, lam).tolist()))})
+            out.append({"group_id": g, "lambda1": lam, "score": lam / len(at), "alert": lam / len(at) > cfg.threshold and len(at) >= least, "steps": steps, "rounds": m.rounds, "touched": m.touched, "members": dict(zip(at.tolist(), K.loadings(own, q, lam).tolist()))})
     return out or [{"score": 0.0, "alert": False, "members": {}, "rounds": m.rounds, "touched": m.touched}]
 
 
+def _cascade(w: Window1, cfg: DetectConfig) -> list[dict]:
+    """The alerts of the sampled score and of the block model merged, from one draw.  A group that is empty is left out."""
+    total = max(float(w.weight.sum()), 1.0)
+    sides: list[dict[int, float]] = []
+    best = 0.0
+    for found in (w.drawn, w.blocks):
+        own: dict[int, float] = {}
+        for f in found:
+            best = max(best, f["score"])
+            at = list(f["members"])
+            if f.get("alert", f["score"] > cfg.threshold) and w.weight[at].sum() / total >= cfg.min_strength:
+                own |= f["members"]
+        sides.append(own)
+    core = sides[0].keys() & sides[1].keys()
+    both = {i: max(s.get(i, 0.0) for s in sides) for i in sides[0].keys() | sides[1].keys()}
+    groups = [(1, {i: v for i, v in both.items() if i in core}), (2, {i: v for i, v in both.items() if i not in core})]
+    out = [{"group_id": g, "score": best, "alert": True, "strong": True, "members": m} for g, m in groups if m]
+    return out or [{"score": best, "alert": False, "members": {}}]
+
+
 def _set_score(w: Window1, at: np.ndarray, cfg: DetectConfig) -> dict:
-    p = K.correlations(w.x[at], cfg.mode)
+    p = w.p[np.ix_(at, at)] if "p" in w.__dict__ else K.correlations(w.x[at], cfg.mode)
     lam, q, steps = K.principal(p, cfg.exact)
     load = K.loadings(p, q, lam) if len(at) else np.zeros(0)
     return {"lambda1": lam, "score": lam / max(len(at), 1), "alert": len(at) > 1 and lam / len(at) > cfg.threshold, "steps": steps, "members": dict(zip(at.tolist(), load.tolist()))}
@@ -123,7 +197,7 @@ def _peel(w: Window1, cfg: DetectConfig) -> list[dict]:
         rows, _, _ = K.peel_bipartite(i, j, np.abs(w.x[i, j]), cfg.peel_stop, cfg.col_weight)
         at = np.asarray(rows, np.int64)
     else:
-        at, _ = K.peel_dense(K.correlations(w.x, cfg.mode), cfg.peel_stop)
+        at, _ = K.peel_dense(w.p, cfg.peel_stop)
     return [_set_score(w, at, cfg)]
 
 
@@ -150,13 +224,17 @@ def _mixture(w: Window1, cfg: DetectConfig) -> list[dict]:
     return [_set_score(w, np.sort(np.concatenate([groups[i] for i in low])), cfg)]
 
 
-KERNELS = {"direct": _direct, "sampled": _sampled, "block": _block, "peel": _peel, "mixture": _mixture}
+KERNELS = {"direct": _direct, "sampled": lambda w, _: w.drawn, "block": lambda w, _: w.blocks, "cascade": _cascade, "peel": _peel, "mixture": _mixture}
 
 
-def find(win: int, e: np.ndarray, x: np.ndarray, cfg: DetectConfig) -> pd.DataFrame:
-    """Findings of one window: a row for each detector and group, and one for each member."""
+def find(win: int, e: np.ndarray, x: np.ndarray, cfg: DetectConfig, start: dict[int, float] | None = None) -> pd.DataFrame:
+    """Findings of one window: a row for each detector and group, and one for each member.  seconds: a detector that uses
+    what another one made is charged for its own part alone; run it by itself to compare.  start: loadings of an earlier
+    window, from which the direct score's solver begins."""
     began = time.perf_counter()
-    w = prepared(e, x, cfg)
+    w = prepared(win, e, x, cfg)
+    if start:
+        w.start = np.array([start.get(int(i), 0.0) for i in w.entity])
     shared = time.perf_counter() - began
     total = max(float(w.weight.sum()), 1.0)
     rows = []
@@ -167,7 +245,7 @@ def find(win: int, e: np.ndarray, x: np.ndarray, cfg: DetectConfig) -> pd.DataFr
         for f in found:
             at = sorted(f["members"])
             share = float(w.weight[at].sum()) / total
-            loud = bool(f.get("alert", f["score"] > cfg.threshold)) and share >= cfg.min_strength
+            loud = bool(f.get("alert", f["score"] > cfg.threshold)) and (share >= cfg.min_strength or f.get("strong", False))
             base = {"win_id": win, "detector": d, "group_id": f.get("group_id", 1), "n": len(e), "n_used": len(w.x), "n_constant": w.n_constant, "lambda1": f.get("lambda1"), "score": f["score"], "alert": loud, "strength": share, "n_members": len(at), "seconds": took, "steps": f.get("steps"), "rounds": f.get("rounds"), "touched": f.get("touched"), "sample": f.get("sample")}
             rows.append(base)
             rows += [base | {"entity": int(w.entity[i]), "loading": f["members"][i]} for i in at]
@@ -178,7 +256,7 @@ def find(win: int, e: np.ndarray, x: np.ndarray, cfg: DetectConfig) -> pd.DataFr
 
 
 def detect(cells: DataFrame, cfg: DetectConfig = DetectConfig()) -> DataFrame:  # noqa: B008
-    """Findings of every window.  A task holds one window's cells; planner.route keeps larger windows out of here."""
+    """Findings of every window that one task can hold; planner.detect_any also takes larger ones."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         return find(int(pdf["win_id"].iloc[0]), *as_array(pdf), cfg)
@@ -186,6 +264,17 @@ def detect(cells: DataFrame, cfg: DetectConfig = DetectConfig()) -> DataFrame:
     return cells.select("win_id", "entity", "feature", "x").groupBy("win_id").applyInPandas(run, FINDINGS)
 
 
+def detect_warm(cells: DataFrame, earlier: DataFrame, cfg: DetectConfig = DetectConfig()) -> DataFrame:  # noqa: B008
+    """As detect, each window's solver begun from earlier loadings.  earlier: win_id (of the window to judge), entity, loading."""
+
+    def run(own: pd.DataFrame, before: pd.DataFrame) -> pd.DataFrame:
+        if not len(own):
+            return pd.DataFrame(columns=_NAMES)
+        return find(int(own["win_id"].iloc[0]), *as_array(own), cfg, dict(zip(before["entity"].tolist(), before["loading"].tolist())))
+
+    return cells.select("win_id", "entity", "feature", "x").groupBy("win_id").cogroup(earlier.select("win_id", "entity", "loading").groupBy("win_id")).applyInPandas(run, FINDINGS)
+
+
 def scores(findings: DataFrame) -> DataFrame:
     """A row for each window, detector and group."""
     return findings.where("entity is null").drop("entity", "loading")

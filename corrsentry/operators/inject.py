@@ -30,6 +30,7 @@ class InjectConfig(NamedTuple):
     strong_share: float = 0.85  # of the magnitude
     p: float = 1.4
     hidden_share: float = 0.0  # of the magnitude; 0: ordinary magnitude
+    calibrate: float = 0.0  # big groups of the size that should lift the direct score just over this; 0: a fifth to a half
     seed: int = 11
 
 
@@ -45,6 +46,16 @@ def group_size(regime: str, n: int, rng: np.random.Generator) -> int:
     return max(3, int(round(n * share / (1 - share))))
 
 
+def needed_share(mu: float, inner: float, score: float) -> float:
+    """Share of a group whose two-block mean matrix (mu outside, `inner` inside) has the score; at most 0.95."""
+    lo, hi = 0.0, 0.95
+    for _ in range(40):
+        s = (lo + hi) / 2
+        top = np.linalg.eigvalsh([[inner * s, mu * np.sqrt(s * (1 - s))], [mu * np.sqrt(s * (1 - s)), mu * (1 - s)]])[-1]
+        lo, hi = (s, hi) if top < score else (lo, s)
+    return hi
+
+
 def members_of(template: np.ndarray, k: int, inner: float, rng: np.random.Generator, flip: bool) -> np.ndarray:
     """(k, M) scaled copies with noise; the noise level gives pairs the correlation `inner`."""
     t = template - template.mean()
@@ -73,6 +84,13 @@ def injected_window(win: int, e: np.ndarray, x: np.ndarray, regime: str, cfg: In
         return np.zeros(0, np.int64), np.zeros((0, x.shape[1]))
     rng = np.random.default_rng([cfg.seed, win % (1 << 32), REGIMES.index(regime)])
     k = group_size(regime, len(e), rng)
+    if regime == "big" and cfg.calibrate:
+        i = rng.integers(0, len(x), 2000)
+        j = (i + rng.integers(1, len(x), 2000)) % len(x)
+        c = x - x.mean(1, keepdims=True)
+        c /= np.maximum(np.sqrt((c * c).sum(1, keepdims=True)), 1e-12)
+        share = min(needed_share(float(np.abs((c[i] * c[j]).sum(1)).mean()), cfg.inner, cfg.calibrate) * rng.uniform(1.0, 1.1), 0.95)
+        k = max(3, int(round(len(e) * share / (1 - share))))
     if cfg.kind == "price":
         template = rng.normal(0, max(x.std(), 1e-9), x.shape[1])
     else:  # a few features get most of the traffic

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..operators import alerts, detect, inject, matrix, measures, prices
 from ..operators.detect import DetectConfig
+from ..operators.score import cut_lineage
 from ..sources.readers import table
 
 #: Parameter grids of the tuning tables.
@@ -30,20 +31,25 @@ def price_cells(spark: SparkSession, sf_dir: str, length: int = 30, step: int =
 def without_core(cells: DataFrame, cfg: DetectConfig) -> tuple[DataFrame, DataFrame]:
     """(cells without the entities that an alert of the block model names, members found before injection): what is there
     already is taken out, what is merely suspicious is remembered."""
-    found = detect.detect(cells, cfg)
+    found = cut_lineage(detect.detect(cells, cfg))
     core = detect.members(found).where("detector = 'block'").select("win_id", "entity").distinct()
     before = detect.members(found, alerted=False).select("win_id", "detector", "entity").distinct()
     return cells.join(core, ["win_id", "entity"], "left_anti"), before
 
 
-def run_cases(cells: DataFrame, cfg: DetectConfig, icfg: inject.InjectConfig, regimes: tuple[str, ...] = inject.REGIMES) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(findings, truth, members before injection) of every window in every regime.  Findings are computed once: cache or
-    write them before several uses."""
+def made_cases(cells: DataFrame, cfg: DetectConfig, icfg: inject.InjectConfig, regimes: tuple[str, ...] = inject.REGIMES) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(cells of every window in every regime, truth, members before injection), each checkpointed once for all uses."""
     clean, before = without_core(cells, cfg._replace(detectors=tuple(dict.fromkeys([*cfg.detectors, "block"]))))
-    cases = inject.inject(clean, regimes, icfg)
-    t = inject.truth(cases)
+    cases = cut_lineage(inject.inject(clean, regimes, icfg))
+    t = cut_lineage(inject.truth(cases))
     old = t.select("win_id", "base_win").distinct().join(before.withColumnRenamed("win_id", "base_win"), "base_win").select("win_id", "detector", "entity")
-    return detect.detect(cases, cfg), t, old
+    return cases, t, cut_lineage(old)
+
+
+def run_cases(cells: DataFrame, cfg: DetectConfig, icfg: inject.InjectConfig, regimes: tuple[str, ...] = inject.REGIMES) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(findings, truth, members before injection) of every window in every regime, each checkpointed."""
+    cases, t, old = made_cases(cells, cfg, icfg, regimes)
+    return cut_lineage(detect.detect(cases, cfg)), t, old
 
 
 def merged(best: DataFrame, found: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -59,20 +65,20 @@ def table1(cells: DataFrame, cfg: DetectConfig | None = None, icfg: inject.Injec
     alerted windows, or 'all'."""
     cfg = cfg or DetectConfig(detectors=("direct", "sampled", "block", "peel"))
     findings, t, old = run_cases(cells, cfg, icfg)
-    findings = findings.cache()
     best, found = merged(detect.best_scores(findings), detect.members(findings, scope == "alerted"))
     old = old.unionByName(old.where(F.col("detector").isin("sampled", "block")).select("win_id", F.lit("cascade").alias("detector"), "entity").distinct())
     return measures.table1(best, found, t, old)
 
 
 def sweep(cells: DataFrame, parameter: str, values: tuple | None = None, icfg: inject.InjectConfig = inject.InjectConfig(), regime: str = "strong", scope: str = "alerted") -> DataFrame:  # noqa: B008
-    """parameter, value, recall, accuracy, extra (control alerts), balance for one grid of GRIDS."""
+    """parameter, value, recall, accuracy, extra (control alerts), balance for one grid of GRIDS.  The cases are made once,
+    by the detector's usual settings."""
     out = None
+    base = DetectConfig(detectors=("sampled",) if parameter in "rp" else ("block",))
+    cases, t, old = made_cases(cells, base, icfg, ("control", regime))
     for v in values or GRIDS[parameter]:
-        base = DetectConfig(detectors=("sampled",) if parameter in "rp" else ("block",))
         cfg = base._replace(**{parameter: v}) if parameter in "rp" else base._replace(block=base.block._replace(**({"mean_floor": v} if parameter == "a" else {"k": int(v)})))
-        findings, t, old = run_cases(cells, cfg, icfg, ("control", regime))
-        findings = findings.cache()
+        findings = cut_lineage(detect.detect(cases, cfg))
         x = measures.table1(detect.best_scores(findings), detect.members(findings, scope == "alerted"), t, old)
         part = x.where(F.col("regime") == regime).select("recall", "accuracy", "alerts", "windows").crossJoin(F.broadcast(x.where("regime = 'control'").select(F.col("alerts").alias("extra"))))
         part = part.select(F.lit(parameter).alias("parameter"), F.lit(float(v)).alias("value"), "alerts", "windows", F.coalesce("recall", F.lit(0.0)).alias("recall"), "accuracy", "extra")
@@ -102,7 +108,7 @@ def scaling(cells: DataFrame, factors: tuple[int, ...] = (1, 2, 3), cfg: DetectC
     for f in factors:
         wide = grown(cells, f).withColumn("x", F.col("x").cast("double")).withColumn("win_id", F.col("win_id") * inject.CODES + inject.REGIMES.index("strong"))
         full = wide.select("win_id", "entity", "feature", "x").unionByName(extra.select("win_id", "entity", "feature", "x"))
-        findings = detect.detect(full, cfg).cache()
+        findings = cut_lineage(detect.detect(full, cfg))
         best, found = detect.best_scores(findings), detect.members(findings, alerted=False)
         hits = found.select("win_id", "detector", "entity").distinct().join(t.where("injected"), ["win_id", "entity"]).groupBy("detector").agg(F.count(F.lit(1)).alias("hits"))
         total = t.where("injected").count()

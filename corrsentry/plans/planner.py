@@ -7,7 +7,12 @@ from typing import NamedTuple
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.corr import columns, pairs_dense, pairs_sparse, tile_pairs, tiles
+from ..operators import alerts, block, detect
+from ..operators.corr import apply_mode, columns, pairs_dense, pairs_sparse, tile_pairs, tiles
+from ..operators.detect import FINDINGS, DetectConfig
+from ..operators.sampled import weights
+from ..operators.score import cut_lineage, power
+from .sampled_large import sampled_large, tiled_vector
 
 
 class Limits(NamedTuple):
@@ -49,3 +54,67 @@ def all_pairs(cells: DataFrame, limits: Limits = Limits()) -> DataFrame:  # noqa
     dense = pairs_dense(of("pairs_path = 'dense' and solver <> 'tiles'"))
     tiled = tile_pairs(tiles(columns(of("pairs_path = 'dense' and solver = 'tiles'"))))
     return sparse.unionByName(dense).unionByName(tiled)
+
+
+def detect_any(cells: DataFrame, cfg: DetectConfig = DetectConfig(), limits: Limits = Limits(), tile: int = 2048) -> DataFrame:  # noqa: B008
+    """Findings (detect.FINDINGS) of windows of any size: those one task can hold by detect.detect, larger ones by tiles,
+    a capped sample and the pair table.  There, direct and block need windows of at most `limits.tiled` entities, the block
+    model starts from one group (all sampled members) and its members have no loadings, and peel and mixture are refused."""
+    plan = cut_lineage(choose(shape(cells), limits))
+    of = lambda cond: cells.join(F.broadcast(plan.where(cond).select("win_id")), "win_id", "left_semi")
+    one_task = F.col("solver").isin("exact", "lanczos")
+    out = detect.detect(of(one_task), cfg)
+    wide = plan.where(~one_task).select("win_id", "n")
+    if wide.isEmpty():
+        return out
+    if set(cfg.detectors) - {"direct", "sampled", "block", "cascade"}:
+        raise ValueError("a window is too large for peel or mixture")
+    return out.unionByName(_large(of(~one_task), of("solver = 'tiles'"), wide, cfg, tile))
+
+
+def _large(cells: DataFrame, tiled_cells: DataFrame, wide: DataFrame, cfg: DetectConfig, tile: int) -> DataFrame:
+    used = columns(cells).groupBy("win_id").agg(F.count(F.lit(1)).alias("n_used"))
+    w = weights(cells, cfg.p).withColumnRenamed("w", "weight").join(columns(cells).select("win_id", "entity"), ["win_id", "entity"], "left_semi")
+    load = cut_lineage(sampled_large(cells, cfg.r, cfg.p, cfg.max_sample, cfg.mode))
+    heads = {"sampled": load.groupBy("win_id").agg(F.first("lambda1").alias("lambda1"), F.first("score").alias("score"), F.lit(0.0).alias("least"))}
+    named = {"sampled": load.where(F.col("loading") >= cfg.loading_cut).select("win_id", "entity", "loading")}
+    if {"direct", "block", "cascade"} & set(cfg.detectors):
+        blocks = cut_lineage(tiles(columns(tiled_cells), tile))
+    if "direct" in cfg.detectors:
+        v = cut_lineage(tiled_vector(blocks, cfg.mode))
+        size = v.groupBy("win_id").agg(F.count(F.lit(1)).alias("n"), F.max("lambda1").alias("lambda1"), F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("norm"))
+        heads["direct"] = size.select("win_id", "lambda1", (F.col("lambda1") / F.col("n")).alias("score"), F.lit(0.0).alias("least"))
+        named["direct"] = v.drop("lambda1").join(F.broadcast(size), "win_id").select("win_id", "entity", F.least(F.sqrt("lambda1") * F.abs("v") / F.col("norm"), F.lit(1.0)).alias("loading")).where(F.col("loading") >= cfg.loading_cut)
+    if {"block", "cascade"} & set(cfg.detectors):
+        pairs = cut_lineage(apply_mode(tile_pairs(blocks), cfg.mode))
+        z, _ = block.fit_pairs(pairs, named["sampled"].withColumn("z", F.lit(1)), cfg.block)
+        end = lambda e: z.select("win_id", F.col("entity").alias(e))
+        inner = power(pairs.join(end("i"), ["win_id", "i"]).join(end("j"), ["win_id", "j"]))
+        by_chance = F.col("n") * F.col("q")
+        shares = pairs.groupBy("win_id").agg(F.avg((F.col("rho") >= cfg.block.mean_floor).cast("double")).alias("q")).join(used.withColumnRenamed("n_used", "n"), "win_id")
+        least = F.greatest(F.lit(float(cfg.min_group)), 1 + by_chance + cfg.chance * F.sqrt(by_chance) if cfg.chance > 0 else F.lit(0.0))
+        heads["block"] = pairs.select("win_id").distinct().join(inner, "win_id", "left").join(shares.select("win_id", least.alias("least")), "win_id").select("win_id", "lambda1", F.coalesce("score", F.lit(0.0)).alias("score"), "least")
+        named["block"] = z.select("win_id", "entity", F.lit(None).cast("double").alias("loading"))
+    join_all = lambda parts: [d.withColumn("detector", F.lit(k)) for k, d in parts.items()]
+    union = lambda ds: ds[0] if len(ds) == 1 else ds[0].unionByName(union(ds[1:]))
+    own = union(join_all(named)).join(w, ["win_id", "entity"])
+    total = w.groupBy("win_id").agg(F.sum("weight").alias("total"))
+    sums = own.groupBy("win_id", "detector").agg(F.sum("weight").alias("mine"), F.count(F.lit(1)).alias("n_members"))
+    found = union(join_all(heads)).join(sums, ["win_id", "detector"], "left").join(total, "win_id")
+    found = found.withColumn("n_members", F.coalesce("n_members", F.lit(0))).withColumn("strength", F.coalesce(F.col("mine") / F.col("total"), F.lit(0.0))).withColumn("group_id", F.lit(1))
+    found = found.withColumn("alert", (F.col("score") > cfg.threshold) & (F.col("strength") >= cfg.min_strength) & (F.col("n_members") >= F.col("least"))).drop("mine", "total", "least")
+    own = own.drop("weight").withColumn("group_id", F.lit(1))
+    if "cascade" in cfg.detectors:
+        loud = own.join(found.where("alert").select("win_id", "detector"), ["win_id", "detector"])
+        grades = alerts.merge(loud).select("win_id", "entity", F.when(F.col("grade") == "core", 1).otherwise(2).alias("group_id"))
+        both = grades.join(loud.groupBy("win_id", "entity").agg(F.max("loading").alias("loading")), ["win_id", "entity"]).withColumn("detector", F.lit("cascade"))
+        parts = both.join(w, ["win_id", "entity"]).groupBy("win_id", "group_id").agg(F.sum("weight").alias("mine"), F.count(F.lit(1)).alias("n_members")).join(total, "win_id")
+        top = found.where(F.col("detector").isin("sampled", "block")).groupBy("win_id").agg(F.max("score").alias("score"))
+        merged = top.join(parts, "win_id", "left").select("win_id", F.lit("cascade").alias("detector"), F.lit(None).cast("double").alias("lambda1"), "score", F.coalesce("n_members", F.lit(0)).alias("n_members"), F.coalesce(F.col("mine") / F.col("total"), F.lit(0.0)).alias("strength"), F.coalesce("group_id", F.lit(1)).alias("group_id"), F.col("group_id").isNotNull().alias("alert"))
+        found, own = found.unionByName(merged), own.unionByName(both.select(*own.columns))
+    found = found.where(F.col("detector").isin(*cfg.detectors)).join(used, "win_id").join(wide, "win_id").withColumn("n_constant", F.col("n") - F.col("n_used"))
+    rows = found.withColumn("entity", F.lit(None).cast("long")).withColumn("loading", F.lit(None).cast("double"))
+    rows = rows.unionByName(own.join(found, ["win_id", "detector", "group_id"]).select(*rows.columns))
+    for name, kind in (x.split() for x in FINDINGS.split(", ")):
+        rows = rows.withColumn(name, (F.col(name) if name in rows.columns else F.lit(None)).cast(kind))
+    return rows.select(*[x.split()[0] for x in FINDINGS.split(", ")])

@@ -61,7 +61,13 @@ def sampled_large(cells: DataFrame, r: float = 0.2, p: float = 1.4, cap: int = 4
 
 
 def tiled_power(tiled: DataFrame, mode: str = "abs", iterations: int = 30) -> DataFrame:
-    """win_id, n, lambda1, score of windows whose correlations are in tiles: each round, a task multiplies one tile with the
+    """win_id, n, lambda1, score of windows whose correlations are in tiles."""
+    v = tiled_vector(tiled, mode, iterations)
+    return v.groupBy("win_id").agg(F.count(F.lit(1)).alias("n"), F.max("lambda1").alias("lambda1")).withColumn("score", F.col("lambda1") / F.col("n"))
+
+
+def tiled_vector(tiled: DataFrame, mode: str = "abs", iterations: int = 30) -> DataFrame:
+    """win_id, entity, v (largest entry 1), lambda1 by power iteration over tiles: each round, a task multiplies one tile with the
     two pieces of the vector it needs, and the products are summed by entity.  The vector, one double an entity, is
     checkpointed; tiles should be a written table."""
     from ..operators.score import cut_lineage
@@ -94,4 +100,4 @@ def tiled_power(tiled: DataFrame, mode: str = "abs", iterations: int = 30) -> Da
         y = tiled.groupBy(*keys).cogroup(need.groupBy(*keys)).applyInPandas(run, kinds).groupBy("win_id", "entity").agg(F.sum("y").alias("y"))
         top = F.max("y").over(Window.partitionBy("win_id"))
         v = cut_lineage(y.select("win_id", "entity", (F.col("y") / top).alias("v"), top.alias("lambda1")))
-    return v.groupBy("win_id").agg(F.count(F.lit(1)).alias("n"), F.max("lambda1").alias("lambda1")).withColumn("score", F.col("lambda1") / F.col("n"))
+    return v

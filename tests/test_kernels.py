@@ -140,3 +140,20 @@ def test_peeling_is_within_half_of_the_best():
 def test_topics_are_probabilities():
     r = K.gaussian_topics(np.random.default_rng(7).normal(size=(50, 3)), 4)
     assert r.shape == (50, 4) and np.allclose(r.sum(1), 1)
+
+
+def test_block_model_reads_only_columns_of_grouped_entities():
+    """The cost of a round is bounded by the group's share times n squared, and a sampled background gives the same groups."""
+    p = matrix(900, 60, mu=0.15, inner=0.9)
+    z = np.zeros(900, np.int64)
+    z[:8] = 1
+    c = K.Columns(p=p)
+    cfg = K.BlockConfig(k=1, pairs=20_000)
+    m = K.block_model(c, z, cfg)
+    assert set(np.flatnonzero(m.z)) == set(range(60)) == set(np.flatnonzero(K.block_model(p, z, K.BlockConfig(k=1, pairs=10**6)).z))
+    assert c.have.sum() < 900 / 5 and m.touched <= m.rounds * 60 / 900 * 900**2
+    x = np.random.default_rng(3).normal(size=(50, 9))
+    u = x - x.mean(1, keepdims=True)
+    some = K.Columns(u=u / np.linalg.norm(u, axis=1, keepdims=True))
+    some.need(np.array([4, 7]))
+    assert np.allclose(some.p[:, [4, 7]], K.correlations(x)[:, [4, 7]]) and some.have.sum() == 2
