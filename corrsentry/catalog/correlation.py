@@ -52,29 +52,34 @@ def recover_signs(spark, d):
 
 
 _ONLINE = f"""WITH {_CHANGE}, whole AS (SELECT entity FROM changes GROUP BY 1 HAVING count(*) = (SELECT max(period) + 1 FROM changes)),
-x AS (SELECT * FROM changes WHERE entity IN (SELECT entity FROM whole ORDER BY entity LIMIT 12)),
+x AS (SELECT * FROM changes WHERE entity IN (SELECT entity FROM whole)),
 both_ AS (SELECT a.period, a.entity AS i, b.entity AS j, a.x AS xi, b.x AS xj FROM x a JOIN x b ON a.period = b.period AND a.entity < b.entity),
 w AS (SELECT s.f AS win_id, i, j, count(*) AS m, sum(xi * xj)::HUGEINT AS c, sum(xi) AS si, sum(xi * xi) AS qi, sum(xj) AS sj, sum(xj * xj) AS qj FROM both_ JOIN (SELECT unnest(generate_series(0, (SELECT max(period) - 29 FROM changes))) AS f) s ON period BETWEEN f AND f + 29 GROUP BY 1, 2, 3)
-SELECT win_id, i, j, {s6('(m * c - si * sj)::DOUBLE / (sqrt((m * qi - si * si)::DOUBLE) * sqrt((m * qj - sj * sj)::DOUBLE))')} AS rho_u6 FROM w WHERE m * qi <> si * si AND m * qj <> sj * sj"""
+SELECT win_id, count(*) AS pairs, sum({s6('(m * c - si * sj)::DOUBLE / (sqrt((m * qi - si * si)::DOUBLE) * sqrt((m * qj - sj * sj)::DOUBLE))')})::BIGINT AS sum_u6, max({s6('(m * c - si * sj)::DOUBLE / (sqrt((m * qi - si * si)::DOUBLE) * sqrt((m * qj - sj * sj)::DOUBLE))')}) AS top_u6 FROM w WHERE m * qi <> si * si AND m * qj <> sj * sj GROUP BY 1"""
 
 
-def _steady(spark, d, most: int = 12):
-    """Changes of the first entities that have every period."""
+def _digest(pairs):
+    """Each window's pairs, the sum of their correlations in millionths, and the greatest: all pairs count, few rows are told."""
+    return pairs.groupBy("win_id").agg(F.count(F.lit(1)).alias("pairs"), F.sum(u6("rho")).alias("sum_u6"), F.max(u6("rho")).alias("top_u6"))
+
+
+def _steady(spark, d):
+    """Changes of the entities that have every period."""
     c = E.price_changes(spark, d)
     top = c.agg(F.max("period")).first()[0]
-    whole = c.groupBy("entity").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") == (top or 0) + 1).orderBy("entity").limit(most).select("entity")
+    whole = c.groupBy("entity").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") == (top or 0) + 1).select("entity")
     return c.join(whole, "entity", "left_semi")
 
 
 @query(_ONLINE)
 def online_rows_pairs(spark, d):
-    return _out(corr.online_rows(_steady(spark, d), 30))
+    return _digest(corr.online_rows(_steady(spark, d), 30))
 
 
 @query(_ONLINE)
 def naive_rows_pairs(spark, d):
     """The same windows recomputed one by one: the cost foil of the online update."""
-    return _out(corr.pairs_dense(matrix.row_windows(_steady(spark, d), 30, 1)))
+    return _digest(corr.pairs_dense(matrix.row_windows(_steady(spark, d), 30, 1)))
 
 
 @query(f"WITH {cells('type')}, w AS (SELECT * FROM cells WHERE win_id = (SELECT min(win_id) + 86400 FROM cells)) SELECT a.entity AS i, b.entity AS j, sum(a.x * b.x)::BIGINT AS c FROM w a JOIN w b ON a.feature = b.feature AND a.entity <= b.entity GROUP BY 1, 2")

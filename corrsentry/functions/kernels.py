@@ -143,7 +143,7 @@ class BlockConfig(NamedTuple):
     max_iter: int = 30
     unimodal: bool = False
     schedule: str = "synchronous"
-    pairs: int = 200_000  # sampled pairs that stand for the background where there are more than twice as many
+    pairs: int = 40_000  # sampled pairs that stand for the background where there are more than twice as many
 
 
 class Columns:
@@ -255,17 +255,6 @@ def neighbourhoods(p: np.ndarray, cut: float, k: int) -> np.ndarray:
     return z
 
 
-def _stats(l1: np.ndarray, l2: np.ndarray, z: np.ndarray, k: int, total: tuple[float, float, float]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Pairs, sum of ln and of ln(1 - .) of each group; the background is the total less the groups."""
-    m, s1, s2 = np.zeros(k + 1), np.zeros(k + 1), np.zeros(k + 1)
-    for g in range(1, k + 1):
-        at = np.flatnonzero(z == g)
-        m[g] = len(at) * (len(at) - 1) / 2
-        s1[g], s2[g] = (x[np.ix_(at, at)].sum() / 2 for x in (l1, l2))
-    m[0], s1[0], s2[0] = total[0] - m[1:].sum(), total[1] - s1[1:].sum(), total[2] - s2[1:].sum()
-    return m, s1, s2
-
-
 def block_likelihood(m: np.ndarray, s1: np.ndarray, s2: np.ndarray, a: np.ndarray, b: np.ndarray) -> float:
     return float(((a - 1) * s1 + (b - 1) * s2 - m * log_beta(a, b)).sum())
 
@@ -311,43 +300,67 @@ def block_model(p: np.ndarray | Columns, z: np.ndarray, cfg: BlockConfig = Block
         a[g], b[g] = from_mean(s / m if m else cfg.mean_floor, *limits[g])
     a[0], b[0] = from_mean((w.mean() * all_ - inside) / max(all_ - pairs, 1), *limits[0])
 
-    def fitted(z: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
-        c.need(np.flatnonzero(z))
-        m, s1, s2 = _stats(l1, l2, z, k, total)
+    def sums(old: np.ndarray, new: np.ndarray, t: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        """Each entity's sums of ln and ln(1 - .) with the members of each group, from those of the old labels: only columns
+        of entities that came or went are read."""
+        nonlocal touched
+        c.need(np.flatnonzero(new))
+        out = t[0].copy(), t[1].copy()
+        for g in range(1, k + 1):
+            came, went = np.flatnonzero((new == g) & (old != g)), np.flatnonzero((old == g) & (new != g))
+            touched += n * (len(came) + len(went))
+            for o, x in zip(out, (l1, l2)):
+                o[:, g] += x[:, came].sum(1) - x[:, went].sum(1)
+        return out
+
+    def fitted(z: np.ndarray, t: tuple[np.ndarray, np.ndarray], a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
+        m, s1, s2 = np.zeros(k + 1), np.zeros(k + 1), np.zeros(k + 1)
+        for g in range(1, k + 1):
+            at = z == g
+            m[g], s1[g], s2[g] = at.sum() * (at.sum() - 1) / 2, t[0][at, g].sum() / 2, t[1][at, g].sum() / 2
+        m[0], s1[0], s2[0] = total[0] - m[1:].sum(), total[1] - s1[1:].sum(), total[2] - s2[1:].sum()
         a, b = a.copy(), b.copy()
         for g in range(k + 1):
             if m[g] >= 1:
                 a[g], b[g] = fit_beta(s1[g] / m[g], s2[g] / m[g], a[g], b[g], *limits[g], cfg.unimodal)
         return a, b, block_likelihood(m, s1, s2, a, b)
 
-    a, b, best = fitted(z, a, b)
-    history, touched, rounds = [best], 0, 0
+    def gain_of(z: np.ndarray, t: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+        own = z[:, None] == np.arange(k + 1)
+        base = log_beta(a, b)
+        out = (a - a[0]) * t[0] + (b - b[0]) * t[1] + (own.sum(0) - own) * (base[0] - base)
+        out[:, (own.sum(0) == 0) | (np.arange(k + 1) == 0)] = 0.0
+        return out
+
+    touched = rounds = 0
+    t = sums(np.zeros(n, np.int64), z, (np.zeros((n, k + 1)), np.zeros((n, k + 1))))
+    a, b, best = fitted(z, t, a, b)
+    history = [best]
     for rounds in range(1, cfg.max_iter + 1):
+        gain = gain_of(z, t)
         if cfg.schedule == "sequential":
             nz = z.copy()
             for i in range(n):
                 touched += int((nz > 0).sum())
                 c.need(np.flatnonzero(nz))
                 nz[i] = int(gains(l1, l2, nz, a, b, np.array([i]))[0].argmax())
-            gain = gains(l1, l2, z, a, b)
         else:
-            gain = gains(l1, l2, z, a, b)
-            touched += n * int((z > 0).sum())
             nz = gain.argmax(1)
         moved = np.flatnonzero(nz != z)
         if not len(moved):
             break
-        na, nb, now = fitted(nz, a, b)
+        nt = sums(z, nz, t)
+        na, nb, now = fitted(nz, nt, a, b)
         while now < best - 1e-9 and len(moved) > 1:
             lift = gain[moved, nz[moved]] - gain[moved, z[moved]]
             moved = moved[np.argsort(-lift, kind="stable")[: len(moved) // 2]]
             half = z.copy()
             half[moved] = nz[moved]
-            nz = half
-            na, nb, now = fitted(nz, a, b)
+            nz, nt = half, sums(z, half, t)
+            na, nb, now = fitted(nz, nt, a, b)
         if now < best - 1e-9:
             break
-        z, a, b, best = nz, na, nb, now
+        z, t, a, b, best = nz, nt, na, nb, now
         history.append(best)
     for g in range(1, k + 1):  # one entity is no group
         if (z == g).sum() < 2:
