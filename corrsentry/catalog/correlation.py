@@ -82,15 +82,10 @@ def naive_rows_pairs(spark, d):
     return _digest(corr.pairs_dense(matrix.row_windows(_steady(spark, d), 30, 1)))
 
 
-@query(f"WITH {cells('type')}, w AS (SELECT * FROM cells WHERE win_id = (SELECT min(win_id) + 86400 FROM cells)) SELECT a.entity AS i, b.entity AS j, sum(a.x * b.x)::BIGINT AS c FROM w a JOIN w b ON a.feature = b.feature AND a.entity <= b.entity GROUP BY 1, 2")
+@query(f"WITH {cells('type')} SELECT a.win_id, a.entity AS i, b.entity AS j, sum(a.x * b.x)::BIGINT AS c FROM cells a JOIN cells b ON a.win_id = b.win_id AND a.feature = b.feature AND a.entity <= b.entity GROUP BY 1, 2, 3")
 def online_counts_sums(spark, d):
-    """Cross sums of the second day's window, from the first day's and the cells that differ."""
-    c = E.log_cells(spark, d, "type")
-    first = c.agg(F.min("win_id")).first()[0] or 0
-    day = lambda k: c.where(F.col("win_id") == first + k * 86_400)
-    old = day(0).select("entity", "feature", "x")
-    delta = old.select("entity", "feature", (-F.col("x")).alias("d")).unionByName(day(1).select("entity", "feature", F.col("x").alias("d")))
-    return corr.online_counts(corr.cross_sums(day(0)).drop("win_id"), old, delta)
+    """Cross sums of every window, each from the one before it and the cells that differ."""
+    return corr.online_count_windows(E.log_cells(spark, d, "type"))
 
 
 @query(f"{_ALL}, {RULES}, m AS (SELECT DISTINCT win_id, entity FROM rule_members WHERE detector = 'block'), f AS (SELECT p.*, abs(rho) AS r, (a.entity IS NOT NULL AND b.entity IS NOT NULL) AS inside FROM pairs p LEFT JOIN m a ON a.win_id = p.win_id AND a.entity = p.i LEFT JOIN m b ON b.win_id = p.win_id AND b.entity = p.j) SELECT win_id, {s6('avg(r) FILTER (WHERE NOT inside)')} AS mu_u6, {s6('stddev_pop(r) FILTER (WHERE NOT inside)')} AS sigma_u6, {s6('avg(r) FILTER (WHERE inside)')} AS inner_u6, count(*) FILTER (WHERE inside) AS n_inner FROM f GROUP BY 1")

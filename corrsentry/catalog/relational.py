@@ -54,10 +54,11 @@ def filter_time_slice(spark, d):
 
 for _kind, _sql in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN")):
 
-    @query(f"SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_custkey % 3 <> 0) c {_sql} (SELECT * FROM orders WHERE o_orderkey % 5 <> 0) o ON c_custkey = o_custkey", name=f"join_{_kind}")
+    @query(f"SELECT c_custkey, o_orderkey FROM customer {_sql} orders ON c_custkey = o_custkey AND o_totalprice <= c_acctbal", name=f"join_{_kind}")
     def _join(spark, d, kind=_kind):
-        c, o = _t(spark, d, "customer").where("c_custkey % 3 <> 0"), _t(spark, d, "orders").where("o_orderkey % 5 <> 0")
-        return c.join(o, F.col("c_custkey") == F.col("o_custkey"), kind).select("c_custkey", "o_orderkey")
+        """Customers and the orders that their balance pays; both sides have rows without a partner."""
+        pays = (F.col("c_custkey") == F.col("o_custkey")) & (F.col("o_totalprice") <= F.col("c_acctbal"))
+        return _t(spark, d, "customer").join(_t(spark, d, "orders"), pays, kind).select("c_custkey", "o_orderkey")
 
 
 @query("SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")

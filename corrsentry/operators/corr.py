@@ -135,16 +135,36 @@ def cross_sums(cells: DataFrame) -> DataFrame:
     return side("i").join(side("j"), ["win_id", "feature"]).where("i <= j").groupBy("win_id", "i", "j").agg(F.sum(F.col("xi") * F.col("xj")).alias("c"))
 
 
+def _moved(before: DataFrame, after: DataFrame, d: DataFrame, by: list[str]) -> DataFrame:
+    """by, i <= j, t: what a slide adds to the cross sums.  x'_i x'_j - x_i x_j = d_i x'_j + x_i d_j, summed over features, so
+    only pairs with a changed end are made."""
+    end = lambda c, e, v: c.select(*by, "feature", F.col("entity").alias(e), F.col(v).alias(f"_{e}"))
+    a = end(d, "i", "d").join(end(after, "j", "x"), [*by, "feature"])
+    b = end(before, "i", "x").join(end(d, "j", "d"), [*by, "feature"])
+    return a.unionByName(b).where("i <= j").groupBy(*by, "i", "j").agg(F.sum(F.col("_i") * F.col("_j")).alias("t"))
+
+
 def online_counts(state: DataFrame, before: DataFrame, delta: DataFrame) -> DataFrame:
     """Cross sums after a slide of a count matrix.  state: i <= j, c of the old window; before: its cells (entity, feature,
     x); delta: changes of cells (entity, feature, d).  Only pairs with a changed end are touched; the others are kept."""
     d = delta.groupBy("entity", "feature").agg(F.sum("d").alias("d")).where("d <> 0")
     after = before.select("entity", "feature", "x").unionByName(d.withColumnRenamed("d", "x")).groupBy("entity", "feature").agg(F.sum("x").alias("x"))
-    # new c - old c = sum over features of (x_i d_j + d_i x_j + d_i d_j) = d_i x'_j + x_i d_j
-    a = d.select(F.col("entity").alias("u"), "feature", "d").join(after.select(F.col("entity").alias("v"), "feature", "x"), "feature").select("u", "v", (F.col("d") * F.col("x")).alias("t"))
-    b = d.select(F.col("entity").alias("v"), "feature", "d").join(before.select(F.col("entity").alias("u"), "feature", "x"), "feature").select("u", "v", (F.col("d") * F.col("x")).alias("t"))
-    moved = a.unionByName(b).where("u <= v").groupBy(F.col("u").alias("i"), F.col("v").alias("j")).agg(F.sum("t").alias("t"))
-    return state.join(moved, ["i", "j"], "full").select("i", "j", (F.coalesce("c", F.lit(0)) + F.coalesce("t", F.lit(0))).alias("c")).where("c <> 0")
+    return state.join(_moved(before, after, d, []), ["i", "j"], "full").select("i", "j", (F.coalesce("c", F.lit(0)) + F.coalesce("t", F.lit(0))).alias("c")).where("c <> 0")
+
+
+def online_count_windows(cells: DataFrame) -> DataFrame:
+    """win_id, i <= j, c of every window: the first window's sums, then for each slide only what changed, added up along the
+    windows.  A pair that no slide touches keeps its sum until one does."""
+    own = cells.select("win_id").distinct()  # one row a window
+    order = own.select("win_id", F.row_number().over(Window.orderBy("win_id")).alias("k"), F.count(F.lit(1)).over(Window.partitionBy()).alias("last"))
+    placed = cells.join(order, "win_id")
+    after = placed.select("k", "entity", "feature", "x")
+    before = placed.where("k < last").select((F.col("k") + 1).alias("k"), "entity", "feature", "x")
+    d = after.unionByName(before.withColumn("x", -F.col("x"))).groupBy("k", "entity", "feature").agg(F.sum("x").alias("d")).where("d <> 0")
+    w = Window.partitionBy("i", "j").orderBy("k")
+    run = _moved(before, after, d, ["k"]).select("i", "j", "k", F.sum("t").over(w).alias("c"), F.lead("k").over(w).alias("next")).where("c <> 0")
+    held = run.join(order, "k").select("i", "j", "c", F.explode(F.sequence(F.col("k").cast("long"), F.coalesce(F.col("next") - 1, "last"))).alias("k"))
+    return held.join(order, "k").select("win_id", "i", "j", "c")
 
 
 def background(pairs: DataFrame, members: DataFrame) -> DataFrame:
