@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 
@@ -54,3 +54,13 @@ def speed_ratio(best: DataFrame, against: str = "direct") -> DataFrame:
     every = Window.partitionBy(F.lit(1))  # a row for each detector
     ref = F.max(F.when(F.col("detector") == against, F.col("seconds_avg"))).over(every)
     return t.withColumn("ratio", ref / F.col("seconds_avg"))
+
+
+def observed(findings: DataFrame) -> tuple[DataFrame, Observation]:
+    """findings, and the counters that the first action on them fills while the rows pass by: groups judged, alerts raised by
+    groups, entities named, and the greatest seconds, steps, rounds and touched (a detector's groups repeat its cost, so
+    these are not added up)."""
+    counters = Observation()
+    own = F.col("entity").isNull()
+    most = [F.max(c).alias(c) for c in ("seconds", "steps", "rounds", "touched")]
+    return findings.observe(counters, F.count_if(own).alias("groups"), F.count_if(own & F.col("alert")).alias("alerts"), F.count_if(~own).alias("named"), *most), counters

@@ -6,13 +6,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .functions import kernels as K
 from .functions import special
-from .operators.detect import DetectConfig, best_scores, detect, members
+from .operators.corr import as_array
+from .operators.detect import FINDINGS, DetectConfig, best_scores, detect, find, members
 
 
 @F.pandas_udf(T.DoubleType())
@@ -43,12 +44,35 @@ class WindowAssign:
             yield (start,)
 
 
+@F.udtf(returnType=FINDINGS)
+class DetectWindow:
+    """Findings of one window of cells (win_id, entity, feature, x): the table argument is partitioned by win_id, so a call
+    holds one window as detect does: TABLE(cells) PARTITION BY (win_id).  detectors: names with commas between; none: those of DetectConfig."""
+
+    def __init__(self) -> None:
+        self.cells: list[tuple] = []
+        self.cfg = DetectConfig()
+
+    def eval(self, row: Row, detectors: str | None = None) -> None:
+        if detectors:
+            self.cfg = self.cfg._replace(detectors=tuple(detectors.split(",")))
+        self.cells.append((row["win_id"], row["entity"], row["feature"], row["x"]))
+
+    def terminate(self) -> Iterator[tuple]:
+        if self.cells:
+            own = pd.DataFrame(self.cells, columns=["win_id", "entity", "feature", "x"])
+            found = find(int(own["win_id"].iloc[0]), *as_array(own), self.cfg)
+            for row in found.astype(object).itertuples(index=False, name=None):
+                yield tuple(None if pd.isna(v) else v for v in row)
+
+
 def register(spark: SparkSession) -> None:
-    """beta_logpdf, digamma, principal_score and window_assign in SQL."""
+    """beta_logpdf, digamma, principal_score, window_assign and detect_window in SQL."""
     spark.udf.register("beta_logpdf", beta_logpdf)
     spark.udf.register("digamma", digamma)
     spark.udf.register("principal_score", principal_score)
     spark.udtf.register("window_assign", WindowAssign)
+    spark.udtf.register("detect_window", DetectWindow)
 
 
 def register_views(cells: DataFrame, pairs: DataFrame, cfg: DetectConfig = DetectConfig()) -> DataFrame:  # noqa: B008
