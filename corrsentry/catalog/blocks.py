@@ -61,8 +61,8 @@ gain AS (SELECT win_id, i, own.g, (p.a - q.a) * t1 + (p.b - q.b) * t2 + c * (q.l
 best AS (SELECT win_id, i, g, gain FROM gain QUALIFY row_number() OVER (PARTITION BY win_id, i ORDER BY gain DESC, g) = 1)
 SELECT n.win_id, n.i AS entity, CASE WHEN gain > 0 THEN g ELSE 0 END AS z FROM (SELECT DISTINCT win_id, i FROM both_) n LEFT JOIN best USING (win_id, i)""")
 def beta_relabel_round(spark, d):
-    p, z = _both(spark, d)
-    return block.relabel(block.log_pairs(p), z, _params(spark, p))
+    c = E.log_cells(spark, d)
+    return block.relabel_cells(c, _z(c), SHAPES)
 
 
 @query(f"""{_HEAD}, near AS (SELECT win_id, i, j FROM logs WHERE rho >= 0.4 UNION ALL SELECT win_id, j, i FROM logs WHERE rho >= 0.4),
@@ -134,7 +134,7 @@ def block_mean_floors(spark, d):
 
 @query()
 def block_fit_pairs(spark, d):
-    """The whole model on a pair table, for windows too large for a task: all windows, as many rounds as the model takes."""
+    """The whole model over all pairs: all windows, as many rounds as the model takes."""
     c = E.log_cells(spark, d)
-    z, _ = block.fit_pairs(corr.apply_mode(corr.pairs_sparse(c, complete=True), "abs"), _z(c))
+    z, _ = block.fit_pairs(c, _z(c))
     return z
