@@ -68,10 +68,11 @@ def _exists(spark: SparkSession, path: str) -> bool:
 
 
 def sessions(events: DataFrame, gap: str = "6 hours", lateness: str = "1 hour") -> DataFrame:
-    """user_id, session start and end, n: activity sessions of a stream (or of a batch)."""
+    """user_id, session start and end, n: activity sessions of a stream (or of a batch).  An event a whole gap after the one
+    before it starts a session; session_window joins sessions that touch, so its gap is one microsecond shorter."""
     s = events.withWatermark("ts", lateness) if events.isStreaming else events
-    out = s.groupBy(F.session_window("ts", gap), "user_id").agg(F.count(F.lit(1)).alias("n"))
-    return out.select("user_id", F.unix_timestamp("session_window.start").alias("first_s"), F.unix_timestamp("session_window.end").alias("end_s"), "n")
+    out = s.groupBy(F.session_window("ts", f"{gap} -1 microseconds"), "user_id").agg(F.count(F.lit(1)).alias("n"))
+    return out.select("user_id", F.unix_timestamp("session_window.start").alias("first_s"), F.unix_timestamp(F.col("session_window.end") + F.expr("interval 1 microsecond")).alias("end_s"), "n")
 
 
 def distinct_events(events: DataFrame, lateness: str = "1 hour") -> DataFrame:
