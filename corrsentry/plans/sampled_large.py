@@ -10,21 +10,25 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import kernels as K
+from ..functions.folded import Folded, Weighted
 from ..operators.corr import columns
 from ..operators.sampled import draw
 
 LABELS = "win_id long, entity long, loading double, score double, lambda1 double, n_sample long"
+#: Columns that are held against the sample at once.
+SLICE = 512
 
 
-def sampled_large(cells: DataFrame, r: float = 0.2, p: float = 1.4, cap: int = 4096, mode: str = "abs", max_broadcast: int = 256 << 20) -> DataFrame:
-    """win_id, entity, loading, score, lambda1 of every varying entity.
+def sampled_large(cells: DataFrame, r: float = 0.2, p: float = 1.4, cap: int = 4096, mode: str = "abs", max_broadcast: int = 256 << 20, cols: DataFrame | None = None) -> DataFrame:
+    """win_id, entity, loading, score, lambda1 of every varying entity.  cols: columns(cells), if they are made already.
 
-    The sample has at most `cap` columns a window.  Its columns are gathered, checked against max_broadcast bytes and
-    broadcast; where they are more, windows are handled in several passes.  Columns stay where they are: no shuffle of
-    the window, and a task holds the sample and one batch."""
-    cols = columns(cells)
+    The sample has at most `cap` columns a window, equal ones once with their number.  They are gathered, checked against
+    max_broadcast bytes and broadcast; where they are more, windows are handled in several passes.  Columns stay where they
+    are: no shuffle of the window, and a task holds the sample, one batch and a slice of their correlations."""
+    cols = columns(cells) if cols is None else cols.select("win_id", "entity", "x")
     mult = draw(cells, r, p, most=cap)
-    picked = cols.join(mult, ["win_id", "entity"]).select("win_id", "entity", "mult", "x")
+    keys = ["win_id", "x", *(["entity"] if mode == "negative" else [])]
+    picked = cols.join(mult, ["win_id", "entity"]).withColumn("id", F.col("entity")).groupBy(*keys).agg(F.min("id").alias("id"), F.sum("mult").alias("mult"), F.count(F.lit(1)).alias("drawn"))
     widths = picked.groupBy("win_id").agg(F.sum(F.size("x") * 8 + 16).alias("bytes")).orderBy("win_id").collect()
     passes: list[list[int]] = [[]]
     full = 0
@@ -39,21 +43,22 @@ def sampled_large(cells: DataFrame, r: float = 0.2, p: float = 1.4, cap: int = 4
         sample: dict[int, tuple] = {}
         own = picked.where(F.col("win_id").isin(wins)).toPandas() if wins else None
         for w, g in own.groupby("win_id") if wins else []:
-            g = g.sort_values("entity")
+            g = g.sort_values("id")
             x, c = np.stack(g["x"].to_list()), g["mult"].to_numpy(float)
-            pu = K.in_mode(np.clip(x @ x.T, -1, 1), mode)
-            np.fill_diagonal(pu, 1.0)
-            lam, u, _ = K.principal(pu * np.sqrt(np.outer(c, c)))
-            sample[int(w)] = (g["entity"].to_numpy(), x, np.sqrt(c) * u, lam, lam / c.sum())
+            lam, u, _ = Weighted(Folded(x, mode), np.arange(len(x)), c).principal()
+            sample[int(w)] = (g["id"].to_numpy(), x, np.sqrt(c) * u, lam, lam / c.sum(), int(g["drawn"].sum()))
         shared = cells.sparkSession.sparkContext.broadcast(sample)
 
         def run(batches: Iterator[pd.DataFrame], shared=shared) -> Iterator[pd.DataFrame]:  # noqa: ANN001
             for b in batches:
                 for w, g in b.groupby("win_id"):
-                    ids, x, v, lam, score = shared.value[int(w)]
-                    c = K.in_mode(np.clip(np.stack(g["x"].to_list()) @ x.T, -1, 1), mode)
-                    c[np.equal.outer(g["entity"].to_numpy(), ids)] = 1.0
-                    yield pd.DataFrame({"win_id": int(w), "entity": g["entity"], "loading": np.minimum(np.abs(c @ v) / np.sqrt(lam), 1.0), "score": score, "lambda1": lam, "n_sample": len(ids)})
+                    ids, x, v, lam, score, drawn = shared.value[int(w)]
+                    for lo in range(0, len(g), SLICE):
+                        part = g.iloc[lo : lo + SLICE]
+                        c = K.in_mode(np.clip(np.stack(part["x"].to_list()) @ x.T, -1, 1), mode)
+                        if mode == "negative":  # 1 with itself in every mode
+                            c[np.equal.outer(part["entity"].to_numpy(), ids)] = 1.0
+                        yield pd.DataFrame({"win_id": int(w), "entity": part["entity"], "loading": np.minimum(np.abs(c @ v) / np.sqrt(lam), 1.0), "score": score, "lambda1": lam, "n_sample": drawn})
 
         part = cols.where(F.col("win_id").isin(wins)).mapInPandas(run, LABELS)
         out = part if out is None else out.unionByName(part)
