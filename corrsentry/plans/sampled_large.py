@@ -19,10 +19,10 @@ LABELS = "win_id long, entity long, loading double, score double, lambda1 double
 SLICE = 512
 
 
-def sampled_large(cells: DataFrame, r: float = 0.2, p: float = 1.4, cap: int = 4096, mode: str = "abs", max_broadcast: int = 256 << 20, cols: DataFrame | None = None) -> DataFrame:
+def sampled_large(cells: DataFrame, r: float = 0.2, p: float = 1.4, cap: int | None = 4096, mode: str = "abs", max_broadcast: int = 256 << 20, cols: DataFrame | None = None) -> DataFrame:
     """win_id, entity, loading, score, lambda1 of every varying entity.  cols: columns(cells), if they are made already.
 
-    The sample has at most `cap` columns a window, equal ones once with their number.  They are gathered, checked against
+    The sample has at most `cap` columns a window, if there is one, equal ones once with their number.  They are gathered, checked against
     max_broadcast bytes and broadcast; where they are more, windows are handled in several passes.  Columns stay where they
     are: no shuffle of the window, and a task holds the sample, one batch and a slice of their correlations."""
     cols = columns(cells) if cols is None else cols.select("win_id", "entity", "x")
@@ -55,10 +55,14 @@ def sampled_large(cells: DataFrame, r: float = 0.2, p: float = 1.4, cap: int = 4
                     ids, x, v, lam, score, drawn = shared.value[int(w)]
                     for lo in range(0, len(g), SLICE):
                         part = g.iloc[lo : lo + SLICE]
-                        c = K.in_mode(np.clip(np.stack(part["x"].to_list()) @ x.T, -1, 1), mode)
-                        if mode == "negative":  # 1 with itself in every mode
-                            c[np.equal.outer(part["entity"].to_numpy(), ids)] = 1.0
-                        yield pd.DataFrame({"win_id": int(w), "entity": part["entity"], "loading": np.minimum(np.abs(c @ v) / np.sqrt(lam), 1.0), "score": score, "lambda1": lam, "n_sample": drawn})
+                        own, y = np.stack(part["x"].to_list()), np.zeros(len(part))
+                        for at in range(0, len(x), 8 * SLICE):
+                            some = slice(at, at + 8 * SLICE)
+                            c = K.in_mode(np.clip(own @ x[some].T, -1, 1), mode)
+                            if mode == "negative":  # 1 with itself in every mode
+                                c[np.equal.outer(part["entity"].to_numpy(), ids[some])] = 1.0
+                            y += c @ v[some]
+                        yield pd.DataFrame({"win_id": int(w), "entity": part["entity"], "loading": np.minimum(np.abs(y) / np.sqrt(lam), 1.0), "score": score, "lambda1": lam, "n_sample": drawn})
 
         part = cols.where(F.col("win_id").isin(wins)).mapInPandas(run, LABELS)
         out = part if out is None else out.unionByName(part)
